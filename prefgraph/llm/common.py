@@ -138,3 +138,33 @@ def mix(h: np.ndarray) -> np.ndarray:
         h = h ^ (h >> _U(33))
         h = h * _U(0xC4CEB9FE1A85EC53)
         return h ^ (h >> _U(33))
+
+
+def release(spark: SparkSession) -> None:
+    """Let Spark drop the shuffle files of finished steps, which it does when their plans are garbage on the driver."""
+    import gc
+
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
+def group_batches(batches, key: str, rows: int):
+    """Arrow tables of whole groups, at least ``rows`` rows each but for the last, from batches sorted by the column key."""
+    held: list[pa.RecordBatch] = []
+    count = 0
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        held.append(batch)
+        count += batch.num_rows
+        if count < rows:
+            continue
+        table = pa.Table.from_batches(held)
+        keys = table.column(key).to_numpy()
+        cut = int(np.searchsorted(keys, keys[-1], side="left")) if (keys[1:] >= keys[:-1]).all() else int(np.flatnonzero(keys != keys[-1])[-1] + 1) if (keys != keys[-1]).any() else 0
+        if cut:
+            yield table.slice(0, cut)
+            held = [b for b in table.slice(cut).to_batches() if b.num_rows]
+            count = table.num_rows - cut
+    if count:
+        yield pa.Table.from_batches(held)

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontam, licenses, quality, sharding, topk, toxicity, warc
+from . import bpe, decontam, licenses, quality, sharding, suffix_dedup, topk, toxicity, warc
 from .common import read_table
 
 
@@ -25,6 +25,10 @@ def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score_documents(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "labels"))
 
 
+def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.report(read_table(spark, sf_dir, "documents"))
+
+
 def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(read_table(spark, sf_dir, "documents"), tokenizer_path())
 
@@ -50,6 +54,6 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_exact_top_k, op2_toxicity, op4_bpe, op6_decontamination, op7_quality, op8_sharding, op9_warc, op10_license_scan)
+    f.__name__: f for f in (op1_exact_top_k, op2_toxicity, op3_suffix_dedup, op4_bpe, op6_decontamination, op7_quality, op8_sharding, op9_warc, op10_license_scan)
 }
 ORACLES = {"op1_exact_top_k": topk.oracle_sql(), "op6_decontamination": decontam.ORACLE, "op9_warc": warc.ORACLE, "op10_license_scan": licenses.oracle_sql()}
