@@ -30,11 +30,11 @@ from .common import group_batches, materialize, mix, prefix_sums, release, row_b
 
 LENGTH = 400
 GRAM = 64
-BLOCK = 4 << 20
-CHUNK_ROWS = 20_000
+BLOCK = 1 << 20
+CHUNK_ROWS = 8_000
 CHUNK_BYTES = 64 << 20
 HOT, HOT_RANGES = 20_000, 8
-_PLACE_BITS = 22
+_PLACE_BITS = 20
 _STEP = (1 << _PLACE_BITS) - (1 << 13)
 _U = np.uint64
 
