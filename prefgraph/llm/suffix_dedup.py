@@ -110,21 +110,21 @@ def _occurrences(docs: DataFrame, length: int, gram: int, counted: bool) -> Data
     return long_enough.mapInArrow(find, _OCCURRENCE)
 
 
-def _repeated_groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From occurrences sorted by fp and ctx: the distinct surroundings of groups with two occurrences or more."""
-    for table in group_batches(batches, "fp", CHUNK_ROWS):
-        c = {k: table.column(k).to_numpy() for k in table.column_names}
-        new_fp = np.r_[True, c["fp"][1:] != c["fp"][:-1]]
-        new = np.flatnonzero(new_fp | np.r_[True, c["ctx"][1:] != c["ctx"][:-1]])
-        n = np.add.reduceat(c["n"], new)
-        group = np.cumsum(new_fp[new]) - 1
-        total, distinct = np.bincount(group, weights=n), np.bincount(group)
-        keep = total[group] >= 2
-        at = new[keep]
-        yield pa.RecordBatch.from_arrays(
-            [*(pa.array(c[k][at]) for k in ("fp", "ctx")), pa.array(n[keep] >= 2), pa.array(distinct[group][keep].astype(np.int64)), *(pa.array(c[k][at]) for k in ("t1", "t2", "pos", "left", "right"))],
-            ["fp", "ctx", "twice", "distinct", "t1", "t2", "pos", "left", "right"],
-        )
+def _repeated_groups(docs: DataFrame, length: int, gram: int) -> DataFrame:
+    """The distinct surroundings of groups with two occurrences or more: stored, with twice (it occurs twice as a whole) and distinct (how many the group has).
+
+    Counted by (fp, ctx) first, so that a group of a third of all rows is spread; its totals come from partial sums, and the join back
+    is of two stored tables, which adaptive execution splits.
+    """
+    spark = docs.sparkSession
+    firsts = [F.first(c).alias(c) for c in ("t1", "t2", "pos", "left", "right")]
+    each = materialize(_occurrences(docs, length, gram, counted=True).groupBy("fp", "ctx").agg(F.sum("n").alias("n"), *firsts), "suffix-each")
+    release(spark)
+    totals = each.groupBy("fp").agg(F.sum("n").alias("total"), F.count(F.lit(1)).alias("distinct")).filter("total >= 2")
+    totals = materialize(totals.select(F.col("fp").alias("_fp"), "distinct"), "suffix-totals")
+    release(spark)
+    kept = each.join(totals, each.fp == totals._fp).select("fp", "ctx", (F.col("n") >= 2).alias("twice"), "distinct", "t1", "t2", "pos", "left", "right")
+    return materialize(kept, "suffix-groups")
 
 
 def _cut_surroundings(length: int, gram: int, hot: int):
@@ -273,8 +273,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     A stored table; t1 and t2 are the text's keys (common.text_key).
     """
     spark = docs.sparkSession
-    occurrences = _occurrences(docs, length, gram, counted=True).repartition("fp").sortWithinPartitions("fp", "ctx")
-    groups = materialize(occurrences.mapInArrow(_repeated_groups, "fp long, ctx long, twice boolean, distinct long, t1 long, t2 long, pos int, left int, right int"), "suffix-groups")
+    groups = _repeated_groups(docs, length, gram)
     release(spark)
     asked = groups.filter("distinct > 1").groupBy("t1", "t2").agg(F.collect_list(F.struct("fp", "ctx", "distinct", "pos", "left", "right")).alias("asked"))
     texts = docs.select(*text_key(F.col("text")), F.col("text").alias("text")).filter(F.octet_length("text") >= length).dropDuplicates(["t1", "t2"])

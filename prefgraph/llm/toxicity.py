@@ -21,7 +21,7 @@ from .learn import fold, labelled_sample, minimize, sigmoid
 LENGTHS = (3, 4, 5)
 BITS = 18
 DIMS = 1 << BITS
-TRAIN_ROWS = 4000  # the bound of the labelled sample
+TRAIN_ROWS = 3000  # the bound of the labelled sample
 BLOCK = 4 << 20
 _LOW = np.arange(256, dtype=np.uint8)
 _LOW[65:91] += 32
