@@ -29,7 +29,14 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write df to the shared folder and read it back: cuts the lineage and survives lost executors."""
     path = scratch_path(df.sparkSession, name)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    stored = df.sparkSession.read.schema(df.schema).parquet(path)
+    stored.scratch = path
+    return stored
+
+
+def discard(stored: DataFrame) -> None:
+    """Delete a table of materialize() that no unread result depends on."""
+    delete_path(stored.sparkSession, stored.scratch)
 
 
 def delete_path(spark: SparkSession, path: str) -> None:

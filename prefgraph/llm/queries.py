@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontam, licenses, quality, sharding, suffix_dedup, topk, toxicity, warc
+from . import bpe, decontam, licenses, ngram_join, quality, sharding, suffix_dedup, topk, toxicity, warc
 from .common import read_table
 
 
@@ -33,6 +33,10 @@ def op4_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(read_table(spark, sf_dir, "documents"), tokenizer_path())
 
 
+def op5_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.similar_documents(read_table(spark, sf_dir, "documents"))
+
+
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.report(read_table(spark, sf_dir, "documents"), read_table(spark, sf_dir, "benchmark"))
 
@@ -54,6 +58,6 @@ def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_exact_top_k, op2_toxicity, op3_suffix_dedup, op4_bpe, op6_decontamination, op7_quality, op8_sharding, op9_warc, op10_license_scan)
+    f.__name__: f for f in (op1_exact_top_k, op2_toxicity, op3_suffix_dedup, op4_bpe, op5_ngram_join, op6_decontamination, op7_quality, op8_sharding, op9_warc, op10_license_scan)
 }
-ORACLES = {"op1_exact_top_k": topk.oracle_sql(), "op6_decontamination": decontam.ORACLE, "op9_warc": warc.ORACLE, "op10_license_scan": licenses.oracle_sql()}
+ORACLES = {"op1_exact_top_k": topk.oracle_sql(), "op5_ngram_join": ngram_join.ORACLE, "op6_decontamination": decontam.ORACLE, "op9_warc": warc.ORACLE, "op10_license_scan": licenses.oracle_sql()}
