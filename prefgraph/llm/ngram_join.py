@@ -7,8 +7,10 @@ share makes candidates of those only of which it is the greater part.
 
 1. Frequency levels: a sketch of a fixed number of counters over all documents (any fixed function of a shingle gives an order, so the
    sketch's collisions cost nothing but selectivity).
-2. Documents of equal sets are one class. Sharing a prefix shingle under the first order connects classes to candidate groups: each map
-   task combines its own documents, so a shingle of a third of all documents goes on once a batch.
+2. Documents of equal sets are one class. Under the first order the prefixes are longer by EXTRA percent, so that two similar sets share not
+   one shingle of them but a computable number. Shingles of few classes give pairs with counts; a pair stays if its count, and the
+   shingles of many classes that both have, reach that number. Shingles of many classes join only those classes that have enough of
+   them. What stays connects classes to candidate groups.
 3. Within a candidate group pairs are taken by shingle and must pass size and the prefixes of all three orders before their sets are
    compared. Pairs already connected by verified links are not compared again: they cannot change a component.
 4. Groups too large for one task are searched in rounds: some pivots of a group against all its members, distributed; a pivot has then
@@ -32,7 +34,9 @@ SHINGLE = 5
 PERCENT = 75
 BLOCK = 2 << 20
 SKETCH_BITS, SKETCH_CHUNK = 20, 1 << 14
-DOCS_A_BUCKET = 1000
+DOCS_A_BUCKET = 4000
+EXTRA = 5  # percent of a set by which prefixes under the first order are longer when groups are sought
+FEW = 16  # classes of a shingle up to which its pairs are counted
 LARGE = 2_000_000  # shingles of a candidate group beyond which it is searched in rounds
 PIVOTS = 32
 _U = np.uint64
@@ -110,11 +114,11 @@ class Orders:
     def __init__(self, levels: np.ndarray, percent: int = PERCENT) -> None:
         self.levels, self.percent = levels, percent
 
-    def prefix(self, s: np.ndarray, order: int) -> np.ndarray:
+    def prefix(self, s: np.ndarray, order: int, extra: int = 0) -> np.ndarray:
         key = mix(s ^ _SEEDS[order])
         if order != 1:
             key = (key >> _U(8)) | (self.levels[(s >> _U(64 - SKETCH_BITS)).astype(np.int64)].astype(_U) << _U(56))
-        p = prefix_length(len(s), self.percent)
+        p = prefix_length(len(s), self.percent) + extra * len(s) // 100
         return s if p >= len(s) else np.sort(s[np.argpartition(key, p - 1)[:p]])
 
 
@@ -170,7 +174,7 @@ def _class_of(s: np.ndarray) -> tuple[int, int]:
 
 def describe(docs: DataFrame, levels: np.ndarray, buckets: int, percent: int) -> DataFrame:
     """Rows of three kinds: 0, a document with the keys of its text and of its class; 1, first-order prefix shingles by bucket, each
-    with one class of the batch; 2, edges between classes of a batch that share such a shingle (t1, t2)."""
+    with a class; 2, a shingle of many classes (t1, its node) with one of them (t2)."""
     orders = Orders(levels, percent)
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -184,46 +188,112 @@ def describe(docs: DataFrame, levels: np.ndarray, buckets: int, percent: int) ->
                     c2.append(b)
                     if len(s) and (a, b) not in seen:
                         seen.add((a, b))
-                        shingles.append(orders.prefix(s, 0))
+                        shingles.append(orders.prefix(s, 0, EXTRA))
                         owner.append(np.full(len(shingles[-1]), a, np.int64))
             yield _rows(kind=[0] * len(n), doc_id=batch.column("doc_id"), t1=batch.column("t1"), t2=batch.column("t2"), n=n, c1=c1, c2=c2)
             if not shingles:
                 continue
             s, o = np.concatenate(shingles), np.concatenate(owner)
-            by = np.argsort(s, kind="stable")
-            s, o = s[by], o[by]
-            new = np.r_[True, s[1:] != s[:-1]]
-            firsts = np.flatnonzero(new)
-            head = o[firsts][np.cumsum(new) - 1]
-            pairs = np.unique(np.stack([head, o], axis=1)[head != o], axis=0)
-            if len(pairs):
-                yield _rows(kind=[2] * len(pairs), t1=pairs[:, 0], t2=pairs[:, 1])
-            s, o = s[firsts], o[firsts]
             bucket = (s % _U(buckets)).astype(np.int64)
-            by = np.argsort(bucket, kind="stable")
-            s, o, bucket = s[by], o[by], bucket[by]
+            short = (s >> _U(32)).astype(np.uint32)
+            by = np.lexsort((short, bucket))
+            s, o, bucket, short = s[by], o[by], bucket[by], short[by]
+            firsts = np.flatnonzero(np.r_[True, (short[1:] != short[:-1]) | (bucket[1:] != bucket[:-1])])
+            times = np.diff(np.r_[firsts, len(short)])
+            many = np.repeat(times > FEW, times)
+            if many.any():  # known as shared by many here: its classes are told at once, and one entry goes on
+                yield _rows(kind=[2] * int(many.sum()), t1=_node(bucket[many], short[many]), t2=o[many])
+                stay = ~many
+                stay[firsts] = True
+                s, o, bucket, short, many = s[stay], o[stay], bucket[stay], short[stay], many[stay]
             cuts = np.searchsorted(bucket, np.arange(buckets + 1))
             some = np.flatnonzero(np.diff(cuts))
-            data = [(s[i:j] >> _U(32)).astype("<u4").tobytes() + o[i:j].astype("<i8").tobytes() for i, j in zip(cuts[some].tolist(), cuts[some + 1].tolist(), strict=True)]
+            data = [short[i:j].tobytes() + o[i:j].astype("<i8").tobytes() + many[i:j].tobytes() for i, j in zip(cuts[some].tolist(), cuts[some + 1].tolist(), strict=True)]
             yield _rows(kind=[1] * len(some), bucket=some, data=data)
 
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *text_key(F.col("text")), F.col("text").alias("text"))
     return materialize(keyed.mapInArrow(find, _FOUND), "shingles")
 
 
-def _bucket_edges(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Stars between the classes of a bucket that share a shingle (by the 32 bits kept: collisions add candidates only)."""
+def _node(bucket: np.ndarray, short: np.ndarray) -> np.ndarray:
+    """A shingle as a node of the graph of classes."""
+    with np.errstate(over="ignore"):
+        return mix((bucket.astype(_U) << _U(32) | short.astype(_U)) ^ _PLACE[4]).view(np.int64)
+
+
+_SHARED = (("a", pa.int64()), ("b", pa.int64()), ("n", pa.int64()))
+
+
+def _bucket_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """From the entries of a bucket: pairs of classes (a < b) with the number n of shingles they share; for shingles of more than FEW
+    classes (node, class) with n = 0. Shingles meet by 32 bits of their hashes: collisions only add to counts."""
     for table in group_batches(batches, "bucket", 1):
-        for bucket in np.unique(table.column("bucket").to_numpy()):
-            parts = table.filter(pa.compute.equal(table.column("bucket"), int(bucket))).column("data").to_pylist()
-            s = np.concatenate([np.frombuffer(d, "<u4", len(d) // 12) for d in parts])
-            o = np.concatenate([np.frombuffer(d, "<i8", len(d) // 12, len(d) // 12 * 4) for d in parts])
-            by = np.argsort(s, kind="stable")
-            s, o = s[by], o[by]
-            new = np.r_[True, s[1:] != s[:-1]]
-            head = o[np.flatnonzero(new)][np.cumsum(new) - 1]
-            pairs = np.unique(np.stack([head, o], axis=1)[head != o], axis=0)
-            yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+        for number in np.unique(table.column("bucket").to_numpy()):
+            parts = table.filter(pa.compute.equal(table.column("bucket"), int(number))).column("data").to_pylist()
+            sizes = [len(d) // 13 for d in parts]
+            s = np.concatenate([np.frombuffer(d, "<u4", k) for d, k in zip(parts, sizes, strict=True)])
+            o = np.concatenate([np.frombuffer(d, "<i8", k, 4 * k) for d, k in zip(parts, sizes, strict=True)])
+            told = np.concatenate([np.frombuffer(d, bool, k, 12 * k) for d, k in zip(parts, sizes, strict=True)])
+            del parts
+            by = np.lexsort((o, s))
+            s, o, told = s[by], o[by], told[by]
+            once = np.r_[True, (s[1:] != s[:-1]) | (o[1:] != o[:-1])]  # a class comes from several batches
+            told = np.logical_or.reduceat(told, np.flatnonzero(once))
+            s, o = s[once], o[once]
+            firsts = np.flatnonzero(np.r_[True, s[1:] != s[:-1]])
+            times = np.diff(np.r_[firsts, len(s)])
+            many = np.repeat((times > FEW) | np.logical_or.reduceat(told, firsts), times)
+            tell = many & ~told
+            if tell.any():
+                yield _shared(_node(np.full(int(tell.sum()), number), s[tell]), o[tell], np.zeros(int(tell.sum()), np.int64))
+            group = np.repeat(np.arange(len(firsts)), times)[~many]
+            o = o[~many]
+            ones, others = [], []
+            for step in range(1, FEW):
+                same = np.flatnonzero(group[step:] == group[:-step]) if len(group) > step else np.empty(0, np.int64)
+                if not len(same):
+                    break
+                ones.append(o[same])
+                others.append(o[same + step])
+            if ones:
+                a, b = np.concatenate(ones), np.concatenate(others)
+                by = np.lexsort((b, a))
+                a, b = a[by], b[by]
+                at = np.flatnonzero(np.r_[True, (a[1:] != a[:-1]) | (b[1:] != b[:-1])])
+                yield _shared(a[at], b[at], np.diff(np.r_[at, len(a)]))
+
+
+def _shared(*columns: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(columns, _SHARED, strict=True)], [k for k, _ in _SHARED])
+
+
+def _candidate_groups(found: DataFrame, percent: int) -> DataFrame:
+    """_n (a class's c1) and root for classes that may have partners.
+
+    Two linked sets share at least ``need`` shingles of their prefixes: the overlap that the threshold asks for, less all that can lie beyond
+    the prefix of the set whose prefix ends first in the order.
+    """
+    rows = found.filter("kind = 1").select("bucket", "data").repartition("bucket").sortWithinPartitions("bucket")
+    shared = materialize(rows.mapInArrow(_bucket_pairs, "a long, b long, n long"), "shared")
+    release(found.sparkSession)
+    many = materialize(shared.filter("n = 0").select("a", "b").unionByName(found.filter("kind = 2").select(F.col("t1").alias("a"), F.col("t2").alias("b"))), "many")
+    common = many.groupBy("b").agg(F.count(F.lit(1)).alias("many"))
+    sizes = found.filter("kind = 0 and n > 0").groupBy("c1").agg(F.min("n").alias("n"))
+    sizes = materialize(sizes.join(common, sizes.c1 == common.b, "left").select("c1", "n", F.coalesce("many", F.lit(0)).alias("many")), "sizes")
+    beyond = lambda n: F.greatest(F.lit(0), F.ceil(n * percent / 100) - 1 - F.floor(n * EXTRA / 100))
+    one, two = (sizes.select(F.col("c1").alias(f"_{x}"), F.col("n").alias(f"n{x}"), F.col("many").alias(f"m{x}")) for x in "ab")
+    pairs = shared.filter("n > 0").groupBy("a", "b").agg(F.sum("n").alias("n"))
+    met = pairs.join(one, F.col("a") == F.col("_a")).join(two, F.col("b") == F.col("_b"))
+    need = F.ceil((F.col("na") + F.col("nb")) * percent / (100 + percent)) - F.greatest(beyond(F.col("na")), beyond(F.col("nb")))
+    fits = F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent
+    kept = met.filter(fits & (F.col("n") + F.least("ma", "mb") >= need)).select("a", "b")
+    # the least need of a set of n, over partners of all sizes; one less for each rounding
+    least = F.greatest(F.lit(1), F.floor(F.col("n") * (EXTRA / 100)) - 3)
+    able = materialize(sizes.filter(F.col("many") >= least).select("c1"), "able")
+    joined = many.join(able, many.b == able.c1, "left_semi").select("a", "b")
+    out = components(materialize(kept.unionByName(joined), "candidates"))
+    discard(shared)
+    return out.select(F.col("node").alias("_n"), "root")
 
 
 class _Group:
@@ -343,12 +413,10 @@ def similar_documents(docs: DataFrame, percent: int = PERCENT, large: int = LARG
     buckets = max(16, partitions_for(docs.count(), DOCS_A_BUCKET))
     found = describe(docs, levels, buckets, percent)
     release(spark)
-    inside = found.filter("kind = 1").select("bucket", "data").repartition("bucket").sortWithinPartitions("bucket").mapInArrow(_bucket_edges, "a long, b long")
-    edges = materialize(inside.unionByName(found.filter("kind = 2").select(F.col("t1").alias("a"), F.col("t2").alias("b"))), "candidates")
+    groups = _candidate_groups(found, percent)
     meta = materialize(found.filter("kind = 0").select("doc_id", "t1", "t2", "n", "c1", "c2"), "described")
     discard(found)
     release(spark)
-    groups = components(edges).select(F.col("node").alias("_n"), "root")
     classes = meta.filter("n > 0").groupBy("c1", "c2").agg(F.min("doc_id").alias("id"), F.first("t1").alias("t1"), F.first("t2").alias("t2"), F.first("n").alias("n"))
     classes = materialize(classes.withColumn("v", F.monotonically_increasing_id()), "classes")
     wanted = classes.join(groups, classes.c1 == groups._n).select("root", "v", "t1", "t2", "n")
