@@ -14,17 +14,23 @@ _U = np.uint64
 _LIVE: dict[str, list[str]] = {}
 
 
-def scratch_path(spark: SparkSession, name: str) -> str:
+def scratch_path(spark: SparkSession, name: str, tracked: bool = True) -> str:
     """A new path below ``spark.checkpoint.dir``; a folder of our own only where that is unset."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not base:
         base = "file://" + tempfile.mkdtemp(prefix="prefgraph-")
         spark.conf.set("spark.checkpoint.dir", base)
     path = f"{base.rstrip('/')}/scratch-{name}-{uuid.uuid4().hex}"
-    _LIVE.setdefault(spark.sparkContext.applicationId, []).append(path)
+    if tracked:
+        live(spark).append(path)
     return path
 
 
+def live(spark: SparkSession) -> list[str]:
+    """The scratch paths of this application."""
+    return _LIVE.setdefault(spark.sparkContext.applicationId, [])
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write df to the shared folder and read it back: cuts the lineage and survives lost executors."""
     path = scratch_path(df.sparkSession, name)
@@ -37,6 +43,7 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
 def discard(stored: DataFrame) -> None:
     """Delete a table of materialize() that no unread result depends on."""
     delete_path(stored.sparkSession, stored.scratch)
+    live(stored.sparkSession).remove(stored.scratch)
 
 
 def delete_path(spark: SparkSession, path: str) -> None:
@@ -44,12 +51,6 @@ def delete_path(spark: SparkSession, path: str) -> None:
     where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
-def drop_scratch(spark: SparkSession) -> None:
-    """Delete all scratch tables of this application; only when no unread result depends on them."""
-    for path in _LIVE.pop(spark.sparkContext.applicationId, []):
-        delete_path(spark, path)
-
-
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

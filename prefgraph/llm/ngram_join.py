@@ -37,7 +37,7 @@ SKETCH_BITS, SKETCH_CHUNK = 20, 1 << 14
 DOCS_A_BUCKET = 4000
 EXTRA = 5  # percent of a set by which prefixes under the first order are longer when groups are sought
 FEW = 16  # classes of a shingle up to which its pairs are counted
-LARGE = 2_000_000  # shingles of a candidate group beyond which it is searched in rounds
+LARGE = 300_000  # shingles of a candidate group beyond which it is searched in rounds
 PIVOTS = 32
 _U = np.uint64
 _LOW = np.arange(256, dtype=np.uint8)
