@@ -56,6 +56,11 @@ def _hits(found: list, length_of_window: int) -> str:
 _COVERED = "aggregate(hits, named_struct('n', 0L, 'to', 1), (s, h) -> named_struct('n', s.n + greatest(0, h.at + h.len - greatest(s.to, h.at)), 'to', greatest(s.to, h.at + h.len)), s -> s.n)"
 
 
+def _once(sql: str) -> Column:
+    """An expression on w that computes w once a row, also where the optimizer puts w's definition in its place."""
+    return F.expr(f"element_at(transform(array(w), w -> {sql}), 1)")
+
+
 def with_hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_set: int = MAX_SET) -> DataFrame:
     """docs with the columns w (words) and hits (array of (at, len), sorted) in place of any columns of these names.
 
@@ -68,7 +73,7 @@ def with_hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_s
         return cut.withColumn("hits", F.expr(_NONE))
     if len(bound) <= max_set:
         lengths = sorted({r["len"] for r in bound})
-        return cut.withColumn("hits", F.expr("array_sort(concat(" + ", ".join(_hits([r for r in bound if r["len"] == k], k) for k in lengths) + "))"))
+        return cut.withColumn("hits", _once("array_sort(concat(" + ", ".join(_hits([r for r in bound if r["len"] == k], k) for k in lengths) + "))"))
     stored = materialize(docs.drop("hits", "w").withColumn("_id", F.monotonically_increasing_id()), "decontam")
     stored = stored.withColumn("w", words_of(F.col("text")))
     every = [f"CASE WHEN size(w) >= {k} THEN transform(sequence(1, size(w) - {k - 1}), i -> named_struct('at', i, 'len', {k})) ELSE {_NONE} END" for k in range(1, window + 1)]
@@ -86,7 +91,7 @@ def remove_documents(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW
 def remove_spans(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     """docs with text cut to its normalised words outside hits, joined by spaces, where there are hits; other texts stay as they are."""
     found = with_hits(docs, benchmark, window)
-    left = F.expr("array_join(filter(transform(w, (x, i) -> CASE WHEN exists(hits, h -> i + 1 >= h.at AND i + 1 < h.at + h.len) THEN null ELSE x END), x -> x IS NOT NULL), ' ')")
+    left = _once("array_join(filter(transform(w, (x, i) -> CASE WHEN exists(hits, h -> i + 1 >= h.at AND i + 1 < h.at + h.len) THEN null ELSE x END), x -> x IS NOT NULL), ' ')")
     return found.withColumn("text", F.when(F.size("hits") > 0, left).otherwise(F.col("text"))).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
@@ -96,7 +101,7 @@ def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_set:
     The rows of a document meet again by a number of its row, after distinct windows got their items: one shuffle of narrow rows.
     """
     found = with_hits(docs.select("doc_id", "text"), benchmark, window, max_set)
-    gram = F.expr("array_distinct(transform(hits, h -> named_struct('gram', array_join(slice(w, h.at, h.len), ' '), 'len', h.len)))")
+    gram = _once("array_distinct(transform(hits, h -> named_struct('gram', array_join(slice(w, h.at, h.len), ' '), 'len', h.len)))")
     each = found.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), F.size("w").cast("long").alias("n_words"), F.expr(_COVERED).alias("n_hit"), gram.alias("grams"))
     narrow = each.select("row", "doc_id", "n_words", "n_hit", F.explode_outer("grams").alias("g"))
     items = item_windows(benchmark, window).select(F.struct("gram", "len").alias("g"), "items")
