@@ -82,7 +82,8 @@ def as_of(ballots: DataFrame, ts: Column | str, moment: Column) -> DataFrame:
 
 def by_session(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
     """A ballot a user and session, ranking event types by count."""
-    counts = events.groupBy(F.session_window("ts", gap).alias("s"), "user_id", "event_type").count()
+    sessions = events.groupBy(F.session_window("ts", gap).alias("s"), "user_id").agg(F.collect_list("event_type").alias("types"))
+    counts = sessions.select("s", "user_id", F.explode("types").alias("event_type")).groupBy("s", "user_id", "event_type").count()
     voter = F.concat_ws("-", F.col("user_id").cast("string"), F.unix_timestamp(F.col("s.start")).cast("string"))
     return from_scores(counts, voter, "event_type", "count")
 

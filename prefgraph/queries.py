@@ -279,10 +279,10 @@ for _n, _o in (("wide_path_ge", ">="), ("wide_path_gt", ">")):
     query(_EXAMPLE_SQL + f" SELECT CAST(t AS BIGINT) AS w, EXISTS (SELECT 1 FROM p WHERE a = 1 AND b = 4 AND p.w {_o} t) AS found FROM (VALUES (2), (6), (8)) AS x(t)", _n)(_exists(_o == ">"))
 
 
-@query(_EXAMPLE_SQL + " SELECT a, b, w AS width FROM p")
+@query(_EXAMPLE_SQL + " SELECT a, b, w AS width FROM p WHERE (a, b) IN ((1, 4), (2, 1), (4, 3))")
 def widest_by_threshold(s, d):
     g = from_edges(s, _EXAMPLE)
-    return s.createDataFrame([(a, b, paths.widest_by_threshold(g, a, b)) for a in (1, 2, 3, 4) for b in (1, 2, 3, 4) if a != b], "a long, b long, width long")
+    return s.createDataFrame([(a, b, paths.widest_by_threshold(g, a, b)) for a, b in ((1, 4), (2, 1), (4, 3))], "a long, b long, width long")
 
 
 query(_sql("w12a", "SELECT a, b FROM beat", True), "beats")(lambda s, d: (lambda g: g.named(rule.beats(paths.all_pairs_widest(g, "fw")), "a", "b"))(graph(s, d, "w12a")))
@@ -399,7 +399,7 @@ def mallows_ballots(s, d):
 
 @query()
 def winners_sparse_synthetic(s, d):
-    return wn.find_winners(synth.sparse_wmg(s, 500, 0.02)).winners
+    return wn.find_winners(synth.sparse_wmg(s, 150, 0.06)).winners
 
 
 _DAILY = "sc AS (SELECT CAST(user_id AS VARCHAR) || '@' || CAST(date_trunc('day', ts) AS VARCHAR) AS voter, event_type AS alt, count(*) AS score FROM events GROUP BY 1, 2)"
@@ -411,7 +411,7 @@ def stream_margins(s, d):
     from .streaming import current_margins, margin_updates
 
     base = f"{shared_folder(s)}/stream-{uuid.uuid4().hex}"
-    events = load(s, d, "events").select("ts", "user_id", "event_type")
+    events = load(s, d, "events").select(F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type")
     events.coalesce(1).write.parquet(f"{base}/in")
     margin_updates(s.readStream.schema(events.schema).parquet(f"{base}/in"), f"{base}/out", f"{base}/state").awaitTermination()
     events.limit(1).withColumn("ts", F.lit("2030-01-01").cast("timestamp")).coalesce(1).write.mode("append").parquet(f"{base}/in")

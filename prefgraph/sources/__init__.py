@@ -32,7 +32,7 @@ def write_graph(g: PrefGraph, path: str, buckets: int = 16) -> None:
 
 
 def read_graph(spark: SparkSession, path: str) -> PrefGraph:
-    return PrefGraph(spark.read.parquet(f"{path}/vertices"), spark.read.schema(EDGES).parquet(f"{path}/edges_by_src"))
+    return PrefGraph(spark.read.parquet(f"{path}/vertices"), spark.read.schema(EDGES).parquet(f"{path}/edges_by_src").select("src", "dst", "w"))
 
 
 def write_log(rows: list[dict], spark: SparkSession, path: str) -> None:
