@@ -32,7 +32,8 @@ from .components import components
 
 SHINGLE = 5
 PERCENT = 75
-BLOCK = 2 << 20
+BLOCK = 1 << 20
+BATCH_ROWS = 2500  # documents whose prefixes a map task combines at once
 SKETCH_BITS, SKETCH_CHUNK = 20, 1 << 14
 DOCS_A_BUCKET = 4000
 EXTRA = 5  # percent of a set by which prefixes under the first order are longer when groups are sought
@@ -178,7 +179,7 @@ def describe(docs: DataFrame, levels: np.ndarray, buckets: int, percent: int) ->
     orders = Orders(levels, percent)
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (b.slice(i, BATCH_ROWS) for b in batches for i in range(0, b.num_rows, BATCH_ROWS)):
             n, c1, c2, seen, shingles, owner = [], [], [], set(), [], []
             for _, sets in _sets_of(batch.column("text")):
                 for s in sets:

@@ -22,7 +22,8 @@ LENGTHS = (3, 4, 5)
 BITS = 18
 DIMS = 1 << BITS
 TRAIN_ROWS = 3000  # the bound of the labelled sample
-BLOCK = 4 << 20
+BLOCK = 1 << 19
+CHUNK = 1 << 20  # features that a step of training takes at once
 _LOW = np.arange(256, dtype=np.uint8)
 _LOW[65:91] += 32
 
@@ -95,24 +96,32 @@ def fit(sample: DataFrame, counts: dict[int, int], smoothing: float = 1.0, penal
         return Model(np.zeros(DIMS, np.float32), float(prior))
     parts = [np.frombuffer(f, "<i4") for f in rows.column("f").to_pylist()]
     del rows
-    sizes = np.array([len(f) for f in parts])
-    at = np.concatenate(parts)
+    chunks: list[tuple[np.ndarray, np.ndarray]] = []
+    first = held = 0
+    for i in range(len(parts) + 1):
+        if i == len(parts) or held + len(parts[i]) > CHUNK and i > first:
+            chunks.append((np.concatenate(parts[first:i]), np.repeat(np.arange(first, i, dtype=np.int32), [len(f) for f in parts[first:i]])))
+            first, held = i, 0
+        held += len(parts[i]) if i < len(parts) else 0
     del parts
-    row = np.repeat(np.arange(len(y), dtype=np.int32), sizes)
-    up = smoothing + np.bincount(at, weights=y[row], minlength=DIMS)
-    down = smoothing + np.bincount(at, weights=1 - y[row], minlength=DIMS)
+    up, down = np.full(DIMS, smoothing), np.full(DIMS, smoothing)
+    for at, row in chunks:
+        up += np.bincount(at, weights=y[row], minlength=DIMS)
+        down += np.bincount(at, weights=1 - y[row], minlength=DIMS)
     ratio = np.log(up / up.sum()) - np.log(down / down.sum())
     share = {1: positive / total, 0: 1 - positive / total}
     weight = np.where(y == 1, share[1] / y.mean(), share[0] / (1 - y.mean())) / len(y)
-    scaled = ratio[at]
 
     def loss(v: np.ndarray) -> tuple[float, np.ndarray]:
-        z = np.bincount(row, weights=v[at] * scaled, minlength=len(y)) + v[DIMS]
-        p = sigmoid(z)
-        error = weight * (p - y)
-        grad = np.bincount(at, weights=error[row] * scaled, minlength=DIMS)
+        z, scaled = np.full(len(y), v[DIMS]), v[:DIMS] * ratio
+        for at, row in chunks:
+            z += np.bincount(row, weights=scaled[at], minlength=len(y))
+        error = weight * (sigmoid(z) - y)
+        grad = np.zeros(DIMS)
+        for at, row in chunks:
+            grad += np.bincount(at, weights=error[row], minlength=DIMS)
         value = float((weight * (np.logaddexp(0, z) - y * z)).sum() + 0.5 * penalty * (v[:DIMS] @ v[:DIMS]))
-        return value, np.r_[grad + penalty * v[:DIMS], error.sum()]
+        return value, np.r_[grad * ratio + penalty * v[:DIMS], error.sum()]
 
     v = minimize(loss, np.r_[np.zeros(DIMS), prior], steps=40)
     return Model((v[:DIMS] * ratio).astype(np.float32), float(v[DIMS]))
