@@ -94,18 +94,18 @@ def fit(sample: DataFrame, counts: dict[int, int], smoothing: float = 1.0, penal
     prior = np.log((positive + 0.5) / (total - positive + 0.5))
     if not len(y) or y.min() == y.max():
         return Model(np.zeros(DIMS, np.float32), float(prior))
-    parts = [np.frombuffer(f, "<i4") for f in rows.column("f").to_pylist()]
+    column = rows.column("f").combine_chunks()
     del rows
-    chunks: list[tuple[np.ndarray, np.ndarray]] = []
-    first = held = 0
-    for i in range(len(parts) + 1):
-        if i == len(parts) or held + len(parts[i]) > CHUNK and i > first:
-            chunks.append((np.concatenate(parts[first:i]), np.repeat(np.arange(first, i, dtype=np.int32), [len(f) for f in parts[first:i]])))
-            first, held = i, 0
-        held += len(parts[i]) if i < len(parts) else 0
-    del parts
+    bounds = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64) // 4
+    every = np.frombuffer(column.buffers()[2], "<i4") if len(column) and bounds[-1] else np.empty(0, "<i4")
+
+    def chunks() -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(features, their rows) of some rows at a time, as views of what the executors sent."""
+        for i, j in row_blocks(bounds, CHUNK):
+            yield every[bounds[i] : bounds[j]], np.repeat(np.arange(i, j, dtype=np.int32), np.diff(bounds[i : j + 1]))
+
     up, down = np.full(DIMS, smoothing), np.full(DIMS, smoothing)
-    for at, row in chunks:
+    for at, row in chunks():
         up += np.bincount(at, weights=y[row], minlength=DIMS)
         down += np.bincount(at, weights=1 - y[row], minlength=DIMS)
     ratio = np.log(up / up.sum()) - np.log(down / down.sum())
@@ -114,11 +114,11 @@ def fit(sample: DataFrame, counts: dict[int, int], smoothing: float = 1.0, penal
 
     def loss(v: np.ndarray) -> tuple[float, np.ndarray]:
         z, scaled = np.full(len(y), v[DIMS]), v[:DIMS] * ratio
-        for at, row in chunks:
+        for at, row in chunks():
             z += np.bincount(row, weights=scaled[at], minlength=len(y))
         error = weight * (sigmoid(z) - y)
         grad = np.zeros(DIMS)
-        for at, row in chunks:
+        for at, row in chunks():
             grad += np.bincount(at, weights=error[row], minlength=DIMS)
         value = float((weight * (np.logaddexp(0, z) - y * z)).sum() + 0.5 * penalty * (v[:DIMS] @ v[:DIMS]))
         return value, np.r_[grad * ratio + penalty * v[:DIMS], error.sum()]
