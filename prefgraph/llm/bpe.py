@@ -19,6 +19,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidy
+
 #: The pre-tokeniser's pattern, fixed by the vocabulary.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 CACHE_ENTRIES = 400_000
@@ -162,7 +164,7 @@ def encode_documents(docs: DataFrame, path: str, with_ids: bool = False) -> Data
 
     A null text is empty: no ids. Null or repeated doc_ids are rows like others, extra columns are ignored, no rows give none. A
     special token's string in a text is that token, as in the tokenizers library. Map-only; memory is a block of texts and a
-    bounded cache of pre-tokens (emptied when full), a single text being the least block.
+    bounded cache of pre-tokens (emptied when full and when a task ends), a single text being the least block.
     """
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids binary" * with_ids
 
@@ -189,5 +191,6 @@ def encode_documents(docs: DataFrame, path: str, with_ids: bool = False) -> Data
                 if with_ids:
                     out, names = [*out, pa.array(coded, pa.binary())], [*names, "ids"]
                 yield pa.RecordBatch.from_arrays(out, names)
+        tok.cache = tok._fresh()
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("text")).mapInArrow(encode, schema)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").alias("text")).mapInArrow(tidy(encode), schema)

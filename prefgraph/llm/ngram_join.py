@@ -27,12 +27,12 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import discard, group_batches, materialize, mix, partitions_for, prefix_sums, release, row_blocks, span_hash, text_buffers, text_key
+from .common import discard, group_batches, materialize, mix, partitions_for, prefix_sums, release, row_blocks, span_hash, text_buffers, text_key, tidy
 from .components import components
 
 SHINGLE = 5
 PERCENT = 75
-BLOCK = 1 << 20
+BLOCK = 1 << 19
 BATCH_ROWS = 2500  # documents whose prefixes a map task combines at once
 SKETCH_BITS, SKETCH_CHUNK = 20, 1 << 14
 DOCS_A_BUCKET = 4000
@@ -150,7 +150,7 @@ def frequency_levels(docs: DataFrame) -> np.ndarray:
         level = {k: np.floor(np.log2(v + 1)).astype(np.uint8).tobytes() for k, v in sums.items()}
         yield pa.RecordBatch.from_arrays([pa.array(list(level), pa.int32()), pa.array(list(level.values()), pa.binary())], ["chunk", "levels"])
 
-    parts = docs.select(F.col("text").alias("text")).mapInArrow(count, "chunk int, counts binary").repartition("chunk").mapInArrow(add, "chunk int, levels binary").collect()
+    parts = docs.select(F.col("text").alias("text")).mapInArrow(tidy(count), "chunk int, counts binary").repartition("chunk").mapInArrow(tidy(add), "chunk int, levels binary").collect()
     levels = np.zeros(1 << SKETCH_BITS, np.uint8)
     for r in parts:
         levels[r.chunk * SKETCH_CHUNK : (r.chunk + 1) * SKETCH_CHUNK] = np.frombuffer(r.levels, np.uint8)
@@ -213,7 +213,7 @@ def describe(docs: DataFrame, levels: np.ndarray, buckets: int, percent: int) ->
             yield _rows(kind=[1] * len(some), bucket=some, data=data)
 
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *text_key(F.col("text")), F.col("text").alias("text"))
-    return materialize(keyed.mapInArrow(find, _FOUND), "shingles")
+    return materialize(keyed.mapInArrow(tidy(find), _FOUND), "shingles")
 
 
 def _node(bucket: np.ndarray, short: np.ndarray) -> np.ndarray:
@@ -275,7 +275,7 @@ def _candidate_groups(found: DataFrame, percent: int) -> DataFrame:
     the prefix of the set whose prefix ends first in the order.
     """
     rows = found.filter("kind = 1").select("bucket", "data").repartition("bucket").sortWithinPartitions("bucket")
-    shared = materialize(rows.mapInArrow(_bucket_pairs, "a long, b long, n long"), "shared")
+    shared = materialize(rows.mapInArrow(tidy(_bucket_pairs), "a long, b long, n long"), "shared")
     release(found.sparkSession)
     many = materialize(shared.filter("n = 0").select("a", "b").unionByName(found.filter("kind = 2").select(F.col("t1").alias("a"), F.col("t2").alias("b"))), "many")
     common = many.groupBy("b").agg(F.count(F.lit(1)).alias("many"))
@@ -391,7 +391,7 @@ def _rounds(members: DataFrame, levels: np.ndarray, percent: int, pivots: int =
         texts = members.join(chosen.select(F.col("v").alias("_v")), members.v == F.col("_v")).groupBy(F.col("root").alias("_r")).agg(F.collect_list(F.struct("v", "text")).alias("pivots"))
         texts = materialize(texts, "pivot-texts")
         asked = members.join(left.select(F.col("v").alias("_v")), F.col("v") == F.col("_v"), "left_semi").join(texts, F.col("root") == F.col("_r"))
-        found = materialize(asked.select("v", "text", "pivots").mapInArrow(_pivot_links(levels, percent), "a long, b long"), "links")
+        found = materialize(asked.select("v", "text", "pivots").mapInArrow(tidy(_pivot_links(levels, percent)), "a long, b long"), "links")
         links = found if links is None else materialize(links.unionByName(found), "links")
         roots = components(links).select(F.col("node").alias("_n"), F.col("root").alias("c"))
         rest = left.join(chosen.select(F.col("v").alias("_v")), F.col("v") == F.col("_v"), "left_anti")
@@ -427,7 +427,7 @@ def similar_documents(docs: DataFrame, percent: int = PERCENT, large: int = LARG
     texts = docs.select(*text_key(F.col("text")), F.col("text").alias("text")).dropDuplicates(["t1", "t2"])
     members = materialize(texts.join(wanted, (F.col("t1") == F.col("w1")) & (F.col("t2") == F.col("w2"))).select("root", "v", "text", "many"), "members")
     release(spark)
-    links = materialize(members.filter("not many").select("root", "v", "text").repartition("root").sortWithinPartitions("root").mapInArrow(_verify(levels, percent), "a long, b long"), "links")
+    links = materialize(members.filter("not many").select("root", "v", "text").repartition("root").sortWithinPartitions("root").mapInArrow(tidy(_verify(levels, percent)), "a long, b long"), "links")
     more = _rounds(members.filter("many").select("root", "v", "text"), levels, percent)
     roots = links.select(F.col("a").alias("node"), F.col("b").alias("c")) if more is None else components(links.unionByName(more)).select("node", F.col("root").alias("c"))
     if more is not None:

@@ -26,11 +26,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import group_batches, materialize, mix, prefix_sums, release, row_blocks, span_hash, text_buffers, text_key
+from .common import group_batches, materialize, mix, prefix_sums, release, row_blocks, span_hash, text_buffers, text_key, tidy
 
 LENGTH = 400
 GRAM = 64
-BLOCK = 1 << 20
+BLOCK = 1 << 19
 CHUNK_ROWS = 8_000
 CHUNK_BYTES = 64 << 20
 HOT, HOT_RANGES = 20_000, 8
@@ -107,7 +107,7 @@ def _occurrences(docs: DataFrame, length: int, gram: int, counted: bool) -> Data
                 yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["fp", "ctx", "n", "t1", "t2", "pos", "left", "right"])
 
     long_enough = docs.select(*text_key(F.col("text")), F.col("text").alias("text")).filter(F.octet_length("text") >= length)
-    return long_enough.mapInArrow(find, _OCCURRENCE)
+    return long_enough.mapInArrow(tidy(find), _OCCURRENCE)
 
 
 def _repeated_groups(docs: DataFrame, length: int, gram: int) -> DataFrame:
@@ -277,9 +277,9 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     release(spark)
     asked = groups.filter("distinct > 1").groupBy("t1", "t2").agg(F.collect_list(F.struct("fp", "ctx", "distinct", "pos", "left", "right")).alias("asked"))
     texts = docs.select(*text_key(F.col("text")), F.col("text").alias("text")).filter(F.octet_length("text") >= length).dropDuplicates(["t1", "t2"])
-    cut = texts.join(asked, ["t1", "t2"]).select("text", "asked").mapInArrow(_cut_surroundings(length, gram, hot), "key long, fp long, ctx long, `from` int, below int, back binary, fwd binary")
+    cut = texts.join(asked, ["t1", "t2"]).select("text", "asked").mapInArrow(tidy(_cut_surroundings(length, gram, hot)), "key long, fp long, ctx long, `from` int, below int, back binary, fwd binary")
     ordered = cut.repartition("key").sortWithinPartitions("key", "fwd", "fp", "ctx")
-    ranges = materialize(ordered.mapInArrow(_sort_chunks(length, gram), "fp long, ctx long, least int, most int"), "suffix-ranges")
+    ranges = materialize(ordered.mapInArrow(tidy(_sort_chunks(length, gram)), "fp long, ctx long, least int, most int"), "suffix-ranges")
     release(spark)
     ranges = ranges.groupBy("fp", "ctx").agg(F.min("least").alias("least"), F.max("most").alias("most"))
     whole = groups.filter(F.col("twice") & (F.col("left") + F.col("right") >= length)).select("fp", "ctx", (length - F.least("right", F.lit(length))).alias("least"), F.col("left").alias("most"))
@@ -339,7 +339,7 @@ def report(docs: DataFrame, length: int = LENGTH) -> DataFrame:
                 digest.append(hashlib.sha256(_kept(text.encode(), runs)).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column("t1"), batch.column("t2"), pa.array(removed, pa.int64()), pa.array(count, pa.int64()), pa.array(digest, pa.string())], ["t1", "t2", "n_removed", "n_spans", "kept"])
 
-    cut = materialize(texts.join(spans, ["t1", "t2"]).select("t1", "t2", "text", "spans").mapInArrow(remove, "t1 long, t2 long, n_removed long, n_spans long, kept string"), "suffix-cut")
+    cut = materialize(texts.join(spans, ["t1", "t2"]).select("t1", "t2", "text", "spans").mapInArrow(tidy(remove), "t1 long, t2 long, n_removed long, n_spans long, kept string"), "suffix-cut")
     release(docs.sparkSession)
     text = F.coalesce(F.col("text"), F.lit(""))
     every = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *text_key(F.col("text")), F.octet_length(text).cast("long").alias("n_bytes"), F.sha2(text.cast("binary"), 256).alias("whole"))
@@ -368,5 +368,5 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             columns[at] = pa.array(texts, pa.string())
             yield pa.RecordBatch.from_arrays(columns, names)
 
-    out = met.mapInArrow(remove, docs.schema)
+    out = met.mapInArrow(tidy(remove), docs.schema)
     return out.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in names else out

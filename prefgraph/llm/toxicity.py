@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import row_blocks, text_buffers
+from .common import row_blocks, text_buffers, tidy
 from .learn import fold, labelled_sample, minimize, sigmoid
 
 LENGTHS = (3, 4, 5)
@@ -88,7 +88,7 @@ def fit(sample: DataFrame, counts: dict[int, int], smoothing: float = 1.0, penal
             found = [f.astype("<i4").tobytes() for raw, bounds in _blocks(batch.column("text")) for f in made.of_block(raw, bounds)]
             yield pa.RecordBatch.from_arrays([batch.column("y"), pa.array(found, pa.binary())], ["y", "f"])
 
-    rows = sample.mapInArrow(features, "y int, f binary").toArrow()
+    rows = sample.mapInArrow(tidy(features), "y int, f binary").toArrow()
     y = np.array(rows.column("y").to_pylist(), np.float64)
     total, positive = sum(counts.values()), counts.get(1, 0)
     prior = np.log((positive + 0.5) / (total - positive + 0.5))
@@ -142,7 +142,7 @@ def with_score(docs: DataFrame, model: Model, column: str = "score") -> DataFram
             columns = [batch.column(c) for c in names]
             yield pa.RecordBatch.from_arrays([*columns, pa.array(model.scores(batch.column("text")), pa.float64())], [*names, column])
 
-    return docs.select(*[F.col(f"`{c}`") for c in names]).mapInArrow(score, schema)
+    return docs.select(*[F.col(f"`{c}`") for c in names]).mapInArrow(tidy(score), schema)
 
 
 def score_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
