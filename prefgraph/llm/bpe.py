@@ -19,12 +19,12 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import tidy
+from .common import give_back, row_blocks, text_buffers, tidy
 
 #: The pre-tokeniser's pattern, fixed by the vocabulary.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-CACHE_ENTRIES = 400_000
-BLOCK_CHARS = 8 << 20
+CACHE_ENTRIES = 250_000
+BLOCK = 1 << 20
 
 
 def _byte_alphabet() -> dict[str, int]:
@@ -156,6 +156,7 @@ def tokenizer(path: str) -> PairIndexTokenizer:
     """One a worker process."""
     if path not in _LOADED:
         _LOADED[path] = PairIndexTokenizer(path)
+        give_back()  # what parsing the file took
     return _LOADED[path]
 
 
@@ -168,21 +169,12 @@ def encode_documents(docs: DataFrame, path: str, with_ids: bool = False) -> Data
     """
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids binary" * with_ids
 
-    def blocks(texts: list[str]) -> Iterator[tuple[int, int]]:
-        first = chars = 0
-        for i, t in enumerate(texts):
-            if chars + len(t) > BLOCK_CHARS and i > first:
-                yield first, i
-                first, chars = i, 0
-            chars += len(t)
-        yield first, len(texts)
-
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tok = tokenizer(path)
         for batch in batches:
-            texts = ["" if t is None else t for t in batch.column("text").to_pylist()]
-            for i, j in blocks(texts):
-                coded = tok.encode_block(texts[i:j])
+            column = batch.column("text")
+            for i, j in row_blocks(text_buffers(column)[1], BLOCK):
+                coded = tok.encode_block(["" if t is None else t for t in column.slice(i, j - i).to_pylist()])
                 out = [
                     batch.column("doc_id").slice(i, j - i), pa.array([len(x) // 4 for x in coded], pa.int64()), pa.array([hashlib.sha256(x).hexdigest() for x in coded], pa.string()),
                     pa.array([hashlib.sha256(tok.decode(x).encode()).hexdigest() for x in coded], pa.string()),
