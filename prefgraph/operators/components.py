@@ -1,4 +1,4 @@
-"""Reachability, strongly connected components and the Schwartz set."""
+"""Reachability, strongly connected components, the Schwartz set and the uncovered set."""
 
 from __future__ import annotations
 
@@ -38,3 +38,17 @@ def schwartz_set(g: PrefGraph) -> DataFrame:
     a, b = scc.select(F.col("id").alias("src"), F.col("scc").alias("sa")), scc.select(F.col("id").alias("dst"), F.col("scc").alias("sb"))
     dominated = g.edges.join(a, "src").join(b, "dst").filter("sa <> sb").select(F.col("sb").alias("scc")).distinct()
     return scc.join(dominated, "scc", "left_anti").select("id")
+
+
+def uncovered_set(g: PrefGraph) -> DataFrame:
+    """(id): the alternatives that none covers; b covers a if it dominates a and all that a dominates.
+
+    Such a b dominates more than a does: only those edges are joined with what a dominates. That takes up to m^3 / 6 rows before they are counted.
+    """
+    edges = g.edges.select("src", "dst")
+    wins = edges.groupBy("src").agg(F.count(F.lit(1)).alias("n"))
+    above = edges.join(wins.select("src", F.col("n").alias("more")), "src").join(wins.select(F.col("src").alias("dst"), "n"), "dst", "left").select("src", "dst", "more", F.coalesce("n", F.lit(0)).alias("n")).filter("more > n")
+    beyond = above.filter("n > 0").join(edges.select(F.col("src").alias("dst"), F.col("dst").alias("third")), "dst")
+    both = beyond.join(edges.select("src", F.col("dst").alias("third")), ["src", "third"]).groupBy("src", "dst", "n").agg(F.count(F.lit(1)).alias("both"))
+    covered = both.filter("both = n").select("dst").unionByName(above.filter("n = 0").select("dst"))
+    return g.vertices.select("id").join(covered, F.col("id") == F.col("dst"), "left_anti")

@@ -140,3 +140,13 @@ def test_superstep_plan_combines_by_hash(spark, example):
     sent = labels.withColumnRenamed("id", "src").join(winners.two_way(example.edges), ["direction", "src"]).groupBy("direction", "dst").agg(F.min("value"))
     text = plan_text(sent)
     assert text.count("HashAggregate") >= 2 and "SortAggregate" not in text and "CartesianProduct" not in text
+
+
+def test_uncovered_set(spark, example):
+    assert ids(components.uncovered_set(example)) == {A, C, D}
+    rng = random.Random(11)
+    for m in (4, 5, 7):
+        edges = [(a, b, 2) if rng.random() < 0.5 else (b, a, 2) for a, b in itertools.combinations(range(m), 2) if rng.random() < 0.8]
+        beats = {v: {b for a, b, _ in edges if a == v} for v in range(m)}
+        expected = {v for v in range(m) if not any(v in beats[u] and beats[v] <= beats[u] for u in range(m))}
+        assert ids(components.uncovered_set(from_edges(spark, edges, list(range(m))))) == expected
