@@ -299,12 +299,12 @@ for _label, _flags in {"labels": {"strategy": "labels", "finish_threshold": 0, "
 
 
 def _head_to_head_suppliers(s: SparkSession, d: str) -> PrefGraph:
-    rows = load(s, d, "lineitem").filter("l_orderkey % 50 = 0").groupBy(F.col("l_orderkey").alias("voter"), F.col("l_suppkey").alias("alt")).agg(F.sum(F.col("l_quantity").cast("long")).alias("score"))
+    rows = load(s, d, "lineitem").groupBy(F.col("l_orderkey").alias("voter"), F.col("l_suppkey").alias("alt")).agg(F.sum(F.col("l_quantity").cast("long")).alias("score"))
     return mg.graph_of(store(bl.from_scores(rows, "voter", "alt", "score"), "ballots"), unlisted="ignore")
 
 
 query(
-    f"WITH sc AS (SELECT l_orderkey AS voter, l_suppkey AS alt, sum(CAST(l_quantity AS BIGINT)) AS score FROM lineitem WHERE l_orderkey % 50 = 0 GROUP BY 1, 2), {_RANKED}, n AS (SELECT DISTINCT alt FROM b), {_CO}, e AS (SELECT a, b, CAST(c AS BIGINT) AS w FROM c WHERE c > 0), {_closure()} {_WON}", "winners_headtohead_supplier",
+    f"WITH sc AS (SELECT l_orderkey AS voter, l_suppkey AS alt, sum(CAST(l_quantity AS BIGINT)) AS score FROM lineitem GROUP BY 1, 2), {_RANKED}, n AS (SELECT DISTINCT alt FROM b), {_CO}, e AS (SELECT a, b, CAST(c AS BIGINT) AS w FROM c WHERE c > 0), {_closure()} {_WON}", "winners_headtohead_supplier",
 )(lambda s, d: (lambda g: _named(g, wn.find_winners(g).winners))(_head_to_head_suppliers(s, d)))
 
 _IN_SCHWARTZ = "SELECT alt FROM n WHERE NOT EXISTS (SELECT 1 FROM p x WHERE x.b = alt AND NOT EXISTS (SELECT 1 FROM p y WHERE y.a = alt AND y.b = x.a))"
