@@ -77,8 +77,8 @@ _RANKED = "b AS (SELECT voter, alt, rank() OVER (PARTITION BY voter ORDER BY sco
 WORKLOADS |= {
     "w5": (_weighted, _chart_sql(20, weight=_WEIGHT)),
     "w10": (
-        lambda s, d: bl.from_vectors(load(s, d, "embeddings").filter("vec_id < 200"), "vec_id", "embedding"),
-        f"sc AS (SELECT i AS voter, vec_id AS alt, embedding[i] AS score FROM embeddings, range(1, 65) AS r(i) WHERE vec_id < 200), {_RANKED}",
+        lambda s, d: bl.from_vectors(load(s, d, "embeddings"), "vec_id", "embedding"),
+        f"sc AS (SELECT i AS voter, vec_id AS alt, embedding[i] AS score FROM embeddings, range(1, 65) AS r(i)), {_RANKED}",
     ),
     "w12a": (
         _nation_ballots,
@@ -105,7 +105,8 @@ def _closure(steps: int = 8, source: str = "e") -> str:
 
 
 def _sql(workload: str, tail: str, closure: bool = False) -> str:
-    return f"WITH {WORKLOADS[workload][1]}, {_MARGINS}{', ' + _closure() if closure else ''} {tail}"
+    steps = 11 if workload == "w10" else 8  # paths of up to 2^steps edges
+    return f"WITH {WORKLOADS[workload][1]}, {_MARGINS}{', ' + _closure(steps) if closure else ''} {tail}"
 
 
 _WON = "SELECT alt FROM n WHERE alt NOT IN (SELECT b FROM beat)"
@@ -125,7 +126,7 @@ def _named(g: PrefGraph, found: DataFrame) -> DataFrame:
 
 # ---- ballots ------------------------------------------------------------------------------
 
-for _w, _label in (("w4s", "ballots_global20_supplier"), ("w2s", "ballots_europe20_supplier"), ("w12d", "ballots_events"), ("w10", "ballots_embeddings200"), ("docs", "ballots_documents")):
+for _w, _label in (("w4s", "ballots_global20_supplier"), ("w2s", "ballots_europe20_supplier"), ("w12d", "ballots_events"), ("w10", "ballots_embeddings"), ("docs", "ballots_documents")):
     _voter = "voter - 1" if _w == "w10" else "voter"  # SQL counts list places from 1
     query(f"WITH {WORKLOADS[_w][1]} SELECT CAST({_voter} AS VARCHAR) AS voter, alt, CAST(rank AS INT) AS rank, CAST(weight AS BIGINT) AS weight FROM b", _label)(ballots_of(_w))
 
@@ -292,7 +293,7 @@ query(_sql("w12a", "SELECT x.alt AS a, y.alt AS b FROM n x JOIN n y ON x.alt <>
 _RANKING = "SELECT alt, beaten_by, beats, rank() OVER (ORDER BY beaten_by) AS rnk FROM (SELECT alt, (SELECT count(*) FROM beat WHERE b = alt) AS beaten_by, (SELECT count(*) FROM beat WHERE a = alt) AS beats FROM n)"
 query(_sql("w4s", _RANKING, True), "ranking_supplier")(lambda s, d: (lambda g: rule.ranking(paths.all_pairs_widest(g, "fw"), g.vertices).join(g.vertices, "id").select("alt", "beaten_by", "beats", "rnk"))(graph(s, d, "w4s")))
 
-for _w, _label in (("w1s", "winners_w1s"), ("w2s", "winners_w2s"), ("w3s", "winners_w3s"), ("w4s", "winners_w4s"), ("w5", "winners_weighted"), ("w10", "winners_embeddings200"), ("w11", "winners_quarter"), ("w12b", "winners_brand"), ("w12c", "winners_name"), ("w12d", "winners_events"), ("docs", "winners_documents")):
+for _w, _label in (("w1s", "winners_w1s"), ("w2s", "winners_w2s"), ("w3s", "winners_w3s"), ("w4s", "winners_w4s"), ("w5", "winners_weighted"), ("w10", "winners_embeddings"), ("w11", "winners_quarter"), ("w12b", "winners_brand"), ("w12c", "winners_name"), ("w12d", "winners_events"), ("docs", "winners_documents")):
     query(_sql(_w, _WON, True), _label)(lambda s, d, w=_w: (lambda g: _named(g, wn.find_winners(g).winners))(graph(s, d, w)))
 for _label, _flags in {"labels": {"strategy": "labels", "finish_threshold": 0, "prune": "zero"}, "pivot": {"strategy": "pivot"}, "no_init": {"init": False}, "no_combiner": {"strategy": "labels", "finish_threshold": 0, "combiner": False}}.items():
     query(_sql("w12a", _WON, True), f"winners_flags_{_label}")(lambda s, d, f=_flags: (lambda g: _named(g, wn.find_winners(g, **f).winners))(graph(s, d, "w12a")))

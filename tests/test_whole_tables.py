@@ -42,3 +42,15 @@ def test_head_to_head_takes_every_order(spark, tmp_path):
     alts = {a for x in orders.values() for a in x}
     got = {x.alt for x in QUERIES["winners_headtohead_supplier"](spark, str(tmp_path)).collect()}
     assert got == undefeated(alts, margins_of(orders.values(), alts, unlisted_last=False))
+
+
+def test_embeddings_take_every_vector(spark, tmp_path):
+    r = random.Random(3)
+    vectors = {i: [r.random() for _ in range(5)] for i in (1, 2, 199, 200, 201, 350)}
+    vectors[350] = [2.0, 2.0, 2.0, *vectors[350][3:]]
+    spark.createDataFrame(list(vectors.items()), "vec_id long, embedding array<double>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    rows = QUERIES["ballots_embeddings"](spark, str(tmp_path)).collect()
+    assert {(x.voter, x.alt, x.rank) for x in rows} == {(str(d), i, 1 + sum(w[d] > v[d] for w in vectors.values())) for d in range(5) for i, v in vectors.items()}
+    voters = [{i: v[d] for i, v in vectors.items()} for d in range(5)]
+    got = {x.alt for x in QUERIES["winners_embeddings"](spark, str(tmp_path)).collect()}
+    assert got == undefeated(vectors, margins_of(voters, vectors, unlisted_last=True)) == {350}
