@@ -363,17 +363,25 @@ def rule_agreement(s, d):
     return checks.kendall(wpr, rankedpairs.ranked_pairs(mg.majority_margins(b), _key_order(b)))
 
 
+def _key_digraph(s: SparkSession, d: str) -> DataFrame:
+    """(src, dst): every part-supplier pair of lineitem, from key to key; a part and a supplier of the same key are one vertex."""
+    rows = load(s, d, "lineitem").select(F.col("l_partkey").cast("long").alias("src"), F.col("l_suppkey").cast("long").alias("dst"))
+    return store(rows.filter("src <> dst").distinct(), "digraph")
+
+
 @query()
 def acyclic_subgraph(s, d):
-    rows = load(s, d, "lineitem").filter("l_orderkey % 50 = 0").select((F.col("l_partkey") % 40).alias("src"), (F.col("l_suppkey") % 40).alias("dst")).filter("src <> dst").distinct()
-    return rankedpairs.emas(rows.select(F.xxhash64("src", "dst").alias("ord"), "src", "dst"))
+    return rankedpairs.emas(_key_digraph(s, d).select(F.xxhash64("src", "dst").alias("ord"), "src", "dst"))
 
 
 @query()
 def reduction_reachability(s, d):
-    rows = load(s, d, "lineitem").filter("l_orderkey % 500 = 0").select((F.col("l_partkey") % 20).alias("src"), (F.col("l_suppkey") % 20).alias("dst")).filter("src <> dst").distinct()
-    g = reductions.reachability_to_wpr(store(rows, "digraph"), s.range(20), 0, 13)
-    reach = components.reachable(PrefGraph(s.range(20).select(F.col("id").alias("alt"), "id"), rows.withColumn("w", F.lit(1))), 0, 13)
+    rows = _key_digraph(s, d)
+    ends = s.createDataFrame([(0,), (13,)], "id long")
+    vertices = store(rows.select(F.col("src").alias("id")).unionByName(rows.select(F.col("dst").alias("id"))).unionByName(ends).distinct(), "vertices")
+    g = reductions.reachability_to_wpr(rows, vertices, 0, 13)
+    g = PrefGraph(store(g.vertices, "vertices"), store(g.edges, "edges"))
+    reach = components.reachable(PrefGraph(vertices.select(F.col("id").alias("alt"), "id"), rows.withColumn("w", F.lit(1))), 0, 13)
     return s.createDataFrame([(rule.is_winner(g, 0)[0], reach)], "winner boolean, reachable boolean")
 
 

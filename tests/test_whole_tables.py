@@ -54,3 +54,38 @@ def test_embeddings_take_every_vector(spark, tmp_path):
     voters = [{i: v[d] for i, v in vectors.items()} for d in range(5)]
     got = {x.alt for x in QUERIES["winners_embeddings"](spark, str(tmp_path)).collect()}
     assert got == undefeated(vectors, margins_of(voters, vectors, unlisted_last=True)) == {350}
+
+
+def _lineitem(spark, path, edges):
+    spark.createDataFrame([(7 * i + 1, a, b) for i, (a, b) in enumerate(edges)], "l_orderkey long, l_partkey long, l_suppkey long").write.parquet(f"{path}/lineitem.parquet")
+    return str(path)
+
+
+def reached_from(a, edges):
+    seen, todo = {a}, [a]
+    while todo:
+        v = todo.pop()
+        for x, y in edges:
+            if x == v and y not in seen:
+                seen.add(y)
+                todo.append(y)
+    return seen
+
+
+def test_acyclic_subgraph_takes_every_edge(spark, tmp_path):
+    r = random.Random(8)
+    edges = {(r.randrange(90), r.randrange(45)) for _ in range(160)} - {(i, i) for i in range(90)}
+    rows = sorted(QUERIES["acyclic_subgraph"](spark, _lineitem(spark, tmp_path, edges)).collect(), key=lambda x: x.ord)
+    assert {(x.src, x.dst) for x in rows} == edges and len(rows) == len(edges)
+    kept = []
+    for x in rows:
+        assert x.kept == (x.src not in reached_from(x.dst, kept))
+        if x.kept:
+            kept.append((x.src, x.dst))
+    assert len(kept) < len(rows)
+
+
+def test_reachability_takes_every_edge(spark, tmp_path):
+    for name, edges, want in (("yes", [(0, 40), (40, 25), (25, 13), (25, 40), (99, 0)], True), ("no", [(0, 40), (40, 33), (99, 13)], False)):
+        got = QUERIES["reduction_reachability"](spark, _lineitem(spark, tmp_path / name, edges)).collect()
+        assert [tuple(x) for x in got] == [(want, want)]
