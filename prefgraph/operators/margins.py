@@ -72,13 +72,30 @@ def add(one: DataFrame, two: DataFrame) -> DataFrame:
     return one.unionByName(two).groupBy("a", "b").agg(F.sum("margin").cast("long").alias("margin"))
 
 
-def by_group(ballots: DataFrame, group: str) -> DataFrame:
-    """(group, a, b, margin) over co-listed pairs, for each group of voters and for all together (group null)."""
+def _every_pair_by_group(ballots: DataFrame, group: str) -> DataFrame:
+    """(g, group, a, b, margin) for all a < b that appear at the same level: n_a - n_b of that level. As _every_pair, with a run of numbers a level."""
+    n = ballots.rollup("alt", group).agg(F.sum("weight").cast("long").alias("n"), F.grouping_id().alias("g")).filter("g <= 1")
+    told = store(number(n, [F.col("g"), F.col(group), F.col("alt")], "at"), "appearances")
+    ends = told.groupBy("g", F.col(group).alias("_of")).agg(F.max("at").alias("end"), F.count(F.lit(1)).alias("m"))
+    ahead = told.join(ends.withColumnRenamed("g", "_g"), (F.col("g") == F.col("_g")) & F.col(group).eqNullSafe(F.col("_of"))).filter("at < end")
+    ahead = ahead.select("g", group, F.col("alt").alias("a"), F.col("n").alias("na"), F.explode(F.sequence(F.col("at") + 1, F.col("end"))).alias("at"))
+    return ahead.join(small(told.select("at", F.col("alt").alias("b"), "n"), told.count()), "at").select("g", group, "a", "b", (F.col("na") - F.col("n")).alias("margin"))
+
+
+def by_group(ballots: DataFrame, group: str, unlisted: str = "last") -> DataFrame:
+    """(group, a, b, margin) with a < b, for each group of voters and for all together (group null), over the alternatives that the level lists.
+
+    With unlisted="ignore" only voters that list both count, and only pairs that some voter of the level lists together are given.
+    """
     one = ballots.select("voter", group, F.col("alt").alias("a"), F.col("rank").alias("ra"), "weight")
     two = ballots.select("voter", F.col("alt").alias("b"), F.col("rank").alias("rb"))
     sign = F.signum(F.col("rb") - F.col("ra")).cast("long")
     rolled = one.join(two, "voter").filter("a < b").rollup("a", "b", group).agg(F.sum(F.col("weight") * sign).cast("long").alias("margin"), F.grouping_id().alias("g"))
-    return rolled.filter("g <= 1").select(group, "a", "b", "margin")
+    listed = rolled.filter("g <= 1").select("g", group, "a", "b", "margin")
+    if unlisted == "ignore":
+        return listed.drop("g")
+    both = listed.unionByName(_every_pair_by_group(ballots, group)).groupBy("g", group, "a", "b")
+    return both.agg(F.sum("margin").cast("long").alias("margin")).drop("g")
 
 
 def dominance(margins: DataFrame) -> DataFrame:

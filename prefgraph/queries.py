@@ -198,8 +198,11 @@ def margins_added(s, d):
 
 
 @query(
-    "WITH " + _chart_sql(20) + ", v AS (SELECT b.*, r_name FROM b JOIN nation ON n_nationkey = CAST(split_part(voter, '-', 2) AS INT) JOIN region ON r_regionkey = n_regionkey) "
-    "SELECT r_name, x.alt AS a, y.alt AS b, CAST(sum(sign(y.rank - x.rank)) AS BIGINT) AS margin FROM v x JOIN v y USING (voter, r_name) WHERE x.alt < y.alt GROUP BY GROUPING SETS ((r_name, x.alt, y.alt), (x.alt, y.alt))"
+    "WITH " + _chart_sql(20) + ", v AS (SELECT b.*, r_name FROM b JOIN nation ON n_nationkey = CAST(split_part(voter, '-', 2) AS INT) JOIN region ON r_regionkey = n_regionkey), "
+    "k AS (SELECT r_name, grouping(r_name) AS g, alt, sum(weight) AS n FROM v GROUP BY GROUPING SETS ((r_name, alt), (alt))), "
+    "c AS (SELECT r_name, grouping(r_name) AS g, x.alt AS a, y.alt AS b, sum(x.weight * sign(y.rank - x.rank)) AS c FROM v x JOIN v y USING (voter, r_name) WHERE x.alt < y.alt GROUP BY GROUPING SETS ((r_name, x.alt, y.alt), (x.alt, y.alt))) "
+    "SELECT p.r_name, p.alt AS a, q.alt AS b, CAST(coalesce(c, 0) + p.n - q.n AS BIGINT) AS margin FROM k p JOIN k q ON p.g = q.g AND p.r_name IS NOT DISTINCT FROM q.r_name AND p.alt < q.alt "
+    "LEFT JOIN c ON c.g = p.g AND c.r_name IS NOT DISTINCT FROM p.r_name AND c.a = p.alt AND c.b = q.alt"
 )
 def margins_by_region_rollup(s, d):
     place = load(s, d, "nation").join(load(s, d, "region"), F.col("n_regionkey") == F.col("r_regionkey")).select(F.col("n_nationkey").cast("string").alias("nat"), "r_name")

@@ -3,6 +3,7 @@
 import itertools
 import random
 
+from prefgraph.operators import margins
 from prefgraph.queries import QUERIES
 
 
@@ -89,3 +90,22 @@ def test_reachability_takes_every_edge(spark, tmp_path):
     for name, edges, want in (("yes", [(0, 40), (40, 25), (25, 13), (25, 40), (99, 0)], True), ("no", [(0, 40), (40, 33), (99, 13)], False)):
         got = QUERIES["reduction_reachability"](spark, _lineitem(spark, tmp_path / name, edges)).collect()
         assert [tuple(x) for x in got] == [(want, want)]
+
+
+def test_margins_by_group_count_appearances(spark):
+    r = random.Random(6)
+    ballots = [(f"v{i}", "NS"[i % 2], i % 3 + 1, {a: r.randint(1, 3) for a in r.sample(range(6 if i % 2 else 4), 2)}) for i in range(9)]
+    rows = [(v, g, a, k, w) for v, g, w, x in ballots for a, k in x.items()]
+    b = spark.createDataFrame(rows, "voter string, region string, alt long, rank int, weight long")
+    for unlisted, absent in (("last", 99), ("ignore", None)):
+        want = {}
+        for level in ("N", "S", None):
+            voters = [(w, x) for _, g, w, x in ballots if level in (g, None)]
+            for p, q in itertools.combinations(sorted({a for _, x in voters for a in x}), 2):
+                both = [(w, x.get(p, absent), x.get(q, absent)) for w, x in voters if absent or (p in x and q in x)]
+                if both:
+                    want[level, p, q] = sum(w * ((i < j) - (i > j)) for w, i, j in both)
+        got = margins.by_group(b, "region", unlisted).collect()
+        assert {(x.region, x.a, x.b): x.margin for x in got} == want and len(got) == len(want)
+    total = {(x.a, x.b): x.margin for x in margins.by_group(b, "region").collect() if x.region is None}
+    assert total == {(x.a, x.b): x.margin for x in margins.majority_margins(b).collect() if x.a < x.b}
