@@ -4,11 +4,14 @@ The table holds, for every vector, its distances to many pivots. By the triangle
 distances to a pivot bounds their distance from below, so (|q|^2 + |x|^2 - bound^2) / 2 bounds their inner product from above.
 A query takes the candidates of a block in the order of that bound and stops when its k-th best score is above what is left.
 Queries and candidates are cut in blocks; each pair of blocks is one bounded group.
+Vectors with components beyond LIMIT have no bound: every one of their products is computed, in whole numbers.
 """
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Iterator
+from decimal import Decimal
 
 import numpy as np
 import pandas as pd
@@ -22,19 +25,28 @@ from .common import partitions_for
 PIVOTS = 48
 PIVOT_SAMPLE = 2048  # rows that the pivots are chosen from
 QUERY_BLOCK, ROW_BLOCK = 2048, 4096
-LIMIT = 1 << 22  # components beyond +-LIMIT could leave the exact range
+LIMIT = 1 << 22  # scaled components beyond +-LIMIT could leave the exact range of float64 products
+OUT = 1 << 63  # scores from here on are no long
+SCALE = 256  # a power of two: scaling is exact
 
 
-def quantize(vectors: DataFrame, scale: int = 256) -> DataFrame:
-    """vec_id, c (array<int>): floor(scale * x) of each component. Vectors that are null, empty, hold null or non-finite components or leave +-LIMIT take no part."""
-    e = F.transform(F.col("embedding"), lambda x: F.floor(x.cast("double") * scale))
-    fine = F.coalesce(F.forall("embedding", lambda x: x.isNotNull() & ~F.isnan(x.cast("double")) & (F.abs(x.cast("double")) * scale < LIMIT)), F.lit(False))
-    return vectors.filter(fine & (F.size("embedding") > 0)).select(F.col("vec_id").cast("long").alias("vec_id"), e.cast("array<int>").alias("c")).filter("vec_id is not null")
+def quantize(vectors: DataFrame) -> DataFrame:
+    """vec_id, c (array<int>), f (array<double>): floor(SCALE * x) of each component in c, or, where one leaves +-LIMIT, floor(SCALE * x) / SCALE in f.
+
+    Vectors that are null, empty or hold null or non-finite components take no part. From 2^53 on a component is whole, and f holds it as it is.
+    """
+    x = F.transform("embedding", lambda x: x.cast("double"))
+    size = lambda x: F.abs(x) * SCALE
+    finite = F.coalesce(F.forall(x, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))), F.lit(False))
+    near = F.forall(x, lambda x: size(x) < LIMIT)
+    c = F.when(near, F.transform(x, lambda x: F.floor(x * SCALE)).cast("array<int>"))
+    f = F.when(~near, F.transform(x, lambda x: F.when(size(x) < 2.0**53, F.floor(x * SCALE).cast("double") / SCALE).otherwise(x)))
+    return vectors.filter(finite & (F.size("embedding") > 0)).select(F.col("vec_id").cast("long").alias("vec_id"), c.alias("c"), f.alias("f")).filter("vec_id is not null")
 
 
 def choose_pivots(vectors: DataFrame, pivots: int = PIVOTS, sample: int = PIVOT_SAMPLE) -> dict[int, np.ndarray]:
     """By dimension, vectors of a bounded sample (first by a hash of the id) that lie far from each other."""
-    rows = vectors.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).collect()
+    rows = vectors.filter("c is not null").orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).collect()
     out = {}
     for dim in sorted({len(r.c) for r in rows}):
         x = np.unique(np.array([r.c for r in rows if len(r.c) == dim], np.float64), axis=0)
@@ -48,21 +60,21 @@ def choose_pivots(vectors: DataFrame, pivots: int = PIVOTS, sample: int = PIVOT_
 
 
 def pivot_table(vectors: DataFrame, pivots: dict[int, np.ndarray]) -> DataFrame:
-    """vec_id, c, d: the distances of every vector to the pivots of its dimension (none where the sample had no such dimension)."""
+    """vec_id, c, f, d: the distances of every vector in c to the pivots of its dimension (none where the sample had no such dimension)."""
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows = batch.column("c").to_pylist()
             out: list = [[]] * len(rows)
-            for dim in {len(r) for r in rows} & set(pivots):
-                at = [i for i, r in enumerate(rows) if len(r) == dim]
+            for dim in {len(r) for r in rows if r is not None} & set(pivots):
+                at = [i for i, r in enumerate(rows) if r is not None and len(r) == dim]
                 x, p = np.array([rows[i] for i in at], np.float64), pivots[dim]
                 square = (x * x).sum(axis=1)[:, None] + (p * p).sum(axis=1)[None, :] - 2 * x @ p.T
                 for i, d in zip(at, np.sqrt(np.maximum(square, 0)), strict=True):
                     out[i] = d
-            yield pa.RecordBatch.from_arrays([batch.column("vec_id"), batch.column("c"), pa.array(out, pa.list_(pa.float64()))], ["vec_id", "c", "d"])
+            yield pa.RecordBatch.from_arrays([batch.column("vec_id"), batch.column("c"), batch.column("f"), pa.array(out, pa.list_(pa.float64()))], ["vec_id", "c", "f", "d"])
 
-    return vectors.mapInArrow(measure, "vec_id long, c array<int>, d array<double>")
+    return vectors.mapInArrow(measure, "vec_id long, c array<int>, f array<double>, d array<double>")
 
 
 def search_block(qid: np.ndarray, q: np.ndarray, qd: np.ndarray, xid: np.ndarray, x: np.ndarray, xd: np.ndarray, k: int) -> tuple[list[tuple[int, int, int]], int]:
@@ -95,16 +107,36 @@ def search_block(qid: np.ndarray, q: np.ndarray, qd: np.ndarray, xid: np.ndarray
     return out, done
 
 
+def whole(rows: pd.DataFrame) -> list[list[int]]:
+    """The scaled components of c or f as Python integers."""
+    scaled = lambda x: int(x * SCALE) if abs(x) < 2.0**60 else int(x) * SCALE
+    return [[scaled(x) for x in f] if c is None else [int(x) for x in c] for c, f in zip(rows.c, rows.f, strict=True)]
+
+
+def search_whole(qid: np.ndarray, q: list[list[int]], xid: np.ndarray, x: list[list[int]], k: int) -> list[tuple[int, int, int]]:
+    """As search_block, without bounds and for components of any size: in int64 where no sum can leave it, else in Python integers."""
+    largest = lambda rows: max(abs(v) for r in rows for v in r)
+    kind = np.int64 if len(q[0]) * max(largest(q), 1) * max(largest(x), 1) < 1 << 63 else object
+    table, out = np.array(x, kind), []
+    for i, row in zip(qid.tolist(), q, strict=True):
+        scores = table @ np.array(row, kind)
+        best = heapq.nsmallest(k, ((-s, v) for s, v in zip(scores.tolist(), xid.tolist(), strict=True) if v != i))
+        out += [(i, v, -s) for s, v in best]
+    return out
+
+
 def top_k(vectors: DataFrame, is_query: Column, k: int = 5) -> DataFrame:
     """query_id, rank (from 1), vec_id, score (long): the k rows of highest inner product with each query, ties to smaller vec_id.
 
     vectors(vec_id, embedding); is_query is a condition on vec_id. Rows with the query's own vec_id are no candidates; only vectors of the
     query's dimension are. Rows repeated with one vec_id are candidates of their own, and as a query the first of them counts (by
-    components). Rows of a null vec_id take no part. Fewer than k candidates give fewer rows; an empty table gives none.
+    components). Rows of a null vec_id take no part. Fewer than k candidates give fewer rows; an empty table gives none. A score among the
+    results that is no long is an error.
     """
     fine = quantize(vectors)
     table = pivot_table(fine, choose_pivots(fine))
-    asked = table.filter(is_query).groupBy("vec_id").agg(F.min(F.struct("c", "d")).alias("m")).select(F.col("vec_id").alias("qid"), "m.c", "m.d")
+    place = F.coalesce(F.transform("c", lambda x: x.cast("double") / SCALE), "f").alias("e")
+    asked = table.filter(is_query).groupBy("vec_id").agg(F.min(F.struct(place, "c", "f", "d")).alias("m")).select(F.col("vec_id").alias("qid"), "m.c", "m.f", "m.d")
     row_blocks = partitions_for(fine.count(), ROW_BLOCK)
     query_blocks = partitions_for(fine.filter(is_query).count(), QUERY_BLOCK)
     rows = table.withColumn("rb", (F.monotonically_increasing_id() % row_blocks).cast("int")).withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1))))
@@ -112,15 +144,24 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 5) -> DataFrame:
 
     def search(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         found = []
-        for dim in set(left.c.map(len)) & set(right.c.map(len)):
-            a, b = left[left.c.map(len) == dim], right[right.c.map(len) == dim]
-            stack = lambda s: np.stack(s.to_numpy()).astype(np.float64).reshape(len(s), -1)
-            found += search_block(a.qid.to_numpy(), stack(a.c), stack(a.d), b.vec_id.to_numpy(), stack(b.c), stack(b.d), k)[0]
-        return pd.DataFrame(found, columns=["query_id", "vec_id", "score"])
-
-    near = asked.groupBy("qb", "rb").cogroup(rows.groupBy("qb", "rb")).applyInPandas(search, "query_id long, vec_id long, score long")
+        length = lambda t: t.c.where(t.c.notna(), t.f).map(len)
+        for dim in set(length(left)) & set(length(right)):
+            a, b = left[length(left) == dim], right[length(right) == dim]
+            near_a, near_b = a[a.c.notna()], b[b.c.notna()]
+            if len(near_a) and len(near_b):
+                stack = lambda s: np.stack(s.to_numpy()).astype(np.float64).reshape(len(s), -1)
+                found += search_block(near_a.qid.to_numpy(), stack(near_a.c), stack(near_a.d), near_b.vec_id.to_numpy(), stack(near_b.c), stack(near_b.d), k)[0]
+            for one, two in ((near_a, b[b.c.isna()]), (a[a.c.isna()], b)):
+                if len(one) and len(two):
+                    found += search_whole(one.qid.to_numpy(), whole(one), two.vec_id.to_numpy(), whole(two), k)
+        held = [Decimal(max(-OUT, min(OUT, s))) for _, _, s in found]  # of scores that are no long only the sign counts
+        return pd.DataFrame({"query_id": [x[0] for x in found], "vec_id": [x[1] for x in found], "score": held})
+
+    near = asked.groupBy("qb", "rb").cogroup(rows.groupBy("qb", "rb")).applyInPandas(search, "query_id long, vec_id long, score decimal(20,0)")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return near.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+    best = near.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k)
+    score = F.when(F.abs("score") < F.lit(Decimal(OUT)), F.col("score")).otherwise(F.raise_error(F.concat(F.lit("a score of this query is no long: "), F.col("query_id").cast("string"))).cast("decimal(20,0)"))
+    return best.select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", score.cast("long").alias("score"))
 
 
 def oracle_sql(every: int = 50, k: int = 5) -> str:
