@@ -6,6 +6,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 #: Labels and widths are packed in one long, so that a minimum is a hash aggregation: least label first, then the greatest width.
+#: Both are below TOP: ids are dense numbers, and widths are ranks of weights where weights themselves are not small whole numbers.
 TOP = (1 << 31) - 1
 NOTHING = TOP * (1 << 31) + TOP
 

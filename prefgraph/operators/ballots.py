@@ -94,8 +94,8 @@ def union(one: DataFrame, two: DataFrame) -> DataFrame:
 
 def with_weights(ballots: DataFrame, weights: DataFrame) -> DataFrame:
     """weights(voter, weight); voters without one weigh 1."""
-    given = weights.select("voter", F.col("weight").cast("long").alias("_w"))
-    return ballots.join(given, "voter", "left").withColumn("weight", F.coalesce("_w", F.lit(1).cast("long"))).drop("_w")
+    given = weights.select("voter", F.col("weight").alias("_w"))
+    return ballots.join(given, "voter", "left").withColumn("weight", F.coalesce("_w", F.lit(1))).drop("_w")
 
 
 def weight_from_json(events: DataFrame, path: str = "$.k") -> DataFrame:

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.storage import every_pair
+
 
 def diff(one: DataFrame, two: DataFrame) -> DataFrame:
     """Rows of only one of two tables of the same columns, with side."""
@@ -13,8 +15,8 @@ def diff(one: DataFrame, two: DataFrame) -> DataFrame:
 
 def kendall(one: DataFrame, two: DataFrame) -> DataFrame:
     """(agree, disagree, tied) over pairs of alternatives of two rankings(alt, rnk)."""
-    r = one.select("alt", F.col("rnk").alias("r1")).join(two.select("alt", F.col("rnk").alias("r2")), "alt").withColumn("k", F.lit(1))
-    pairs = r.join(r.select("k", F.col("alt").alias("b"), F.col("r1").alias("s1"), F.col("r2").alias("s2")), "k").filter("alt < b")
+    r = one.select("alt", F.col("rnk").alias("r1")).join(two.select("alt", F.col("rnk").alias("r2")), "alt")
+    pairs = every_pair(r, [F.col("alt")]).select("one.r1", "one.r2", F.col("two.r1").alias("s1"), F.col("two.r2").alias("s2"))
     sign = F.signum(F.col("r1") - F.col("s1")) * F.signum(F.col("r2") - F.col("s2"))
     n = lambda c: F.coalesce(F.sum(F.when(c, 1)), F.lit(0)).cast("long")
     return pairs.agg(n(sign > 0).alias("agree"), n(sign < 0).alias("disagree"), n(sign == 0).alias("tied"))

@@ -7,6 +7,8 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.storage import number, store
+
 
 @dataclass
 class PrefGraph:
@@ -39,3 +41,15 @@ def from_edges(spark, edges: list[tuple], vertices: list | None = None) -> PrefG
     """A graph from literal (src, dst, w); ids are the alternatives."""
     ids = sorted({x for e in edges for x in e[:2]} | set(vertices or []))
     return PrefGraph(spark.createDataFrame([(i, i) for i in ids], "alt long, id long"), spark.createDataFrame(edges, "src long, dst long, w long"))
+
+
+def two_way(edges: DataFrame) -> DataFrame:
+    """Edges in both directions, marked: f along, b against them; one scan."""
+    ends = F.array(F.struct(F.lit("f").alias("direction"), F.col("src").alias("src"), F.col("dst").alias("dst")), F.struct(F.lit("b").alias("direction"), F.col("dst").alias("src"), F.col("src").alias("dst")))
+    return edges.select("w", F.explode(ends).alias("_e")).select("_e.direction", "_e.src", "_e.dst", "w")
+
+
+def ranked_weights(edges: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(edges with ranks from 1 in place of weights, (w, rank) of the distinct weights), stored."""
+    ranks = store(number(edges.select("w").distinct(), [F.col("w")], "rank"), "ranks")
+    return store(edges.join(ranks, "w").select("src", "dst", F.col("rank").cast("long").alias("w")), "edges"), ranks

@@ -6,12 +6,13 @@ alternatives tied last is C(a, b) + n_a - n_b. So pairs are built inside ballots
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegralType
 
-from ..plans.storage import number, small, store
+from ..plans.storage import every_pair, number, scratch, small, spread_pairs, store
 from .graph import PrefGraph
-from .scores import assign_ids
+from .scores import assign_ids, number_by
 
 
 def _listed_pairs(ballots: DataFrame) -> DataFrame:
@@ -25,16 +26,18 @@ def _both_ways(half: DataFrame) -> DataFrame:
     return half.unionByName(half.select(F.col("b").alias("a"), F.col("a").alias("b"), (-F.col("margin")).alias("margin")))
 
 
+def _total(x: Column, ballots: DataFrame) -> Column:
+    """The sum of weights: a long where weights are whole numbers, else in their own type."""
+    return F.sum(x).cast("long") if isinstance(ballots.schema["weight"].dataType, IntegralType) else F.sum(x)
+
+
 def appearances(ballots: DataFrame) -> DataFrame:
-    return ballots.groupBy("alt").agg(F.sum("weight").cast("long").alias("n"))
+    return ballots.groupBy("alt").agg(_total(F.col("weight"), ballots).alias("n"))
 
 
 def _every_pair(ballots: DataFrame) -> DataFrame:
-    """(a, b, base) for all a < b: base is n_a - n_b. An equi-join on dense numbers, as many rows as the result."""
-    told = store(number(appearances(ballots), [F.col("alt")], "at"), "appearances")
-    m = told.count()
-    ahead = told.filter(F.col("at") < m).select(F.col("alt").alias("a"), F.col("n").alias("na"), F.explode(F.sequence(F.col("at") + 1, F.lit(m))).alias("at"))
-    return ahead.join(small(told, m), "at").select("a", F.col("alt").alias("b"), (F.col("na") - F.col("n")).alias("base"))
+    """(a, b, base) for all a < b: base is n_a - n_b."""
+    return every_pair(appearances(ballots), [F.col("alt")]).select(F.col("one.alt").alias("a"), F.col("two.alt").alias("b"), (F.col("one.n") - F.col("two.n")).alias("base"))
 
 
 def pairwise_counts(ballots: DataFrame, unlisted: str = "last") -> DataFrame:
@@ -53,14 +56,24 @@ def pairwise_counts(ballots: DataFrame, unlisted: str = "last") -> DataFrame:
     return listed.unionByName(gone).unionByName(alone).groupBy("a", "b").agg(F.sum("prefer").cast("long").alias("prefer")).filter("prefer > 0")
 
 
+def _co_listed(ballots: DataFrame) -> DataFrame:
+    """(a, b, margin) with a < b, from the voters that list both."""
+    sign = F.signum(F.col("rb") - F.col("ra")).cast("int")
+    return _listed_pairs(ballots).groupBy("a", "b").agg(_total(F.col("wv") * sign, ballots).alias("margin"))
+
+
+def half_margins(ballots: DataFrame, unlisted: str = "last") -> DataFrame:
+    """(a, b, margin) of all pairs a < b (of co-listed pairs only with unlisted="ignore")."""
+    listed = _co_listed(ballots)
+    if unlisted == "ignore":
+        return listed
+    met = _every_pair(ballots).join(listed.withColumnRenamed("margin", "c"), ["a", "b"], "left")
+    return met.select("a", "b", (F.col("base") + F.coalesce("c", F.col("base") * 0)).alias("margin"))
+
+
 def majority_margins(ballots: DataFrame, unlisted: str = "last") -> DataFrame:
     """(a, b, margin) of all ordered pairs (of co-listed pairs only with unlisted="ignore")."""
-    sign = F.signum(F.col("rb") - F.col("ra")).cast("long")
-    listed = _listed_pairs(ballots).groupBy("a", "b").agg(F.sum(F.col("wv") * sign).cast("long").alias("margin"))
-    if unlisted == "ignore":
-        return _both_ways(listed)
-    every = _every_pair(ballots).select("a", "b", F.col("base").alias("margin"))
-    return _both_ways(listed.unionByName(every).groupBy("a", "b").agg(F.sum("margin").cast("long").alias("margin")))
+    return _both_ways(half_margins(ballots, unlisted))
 
 
 def head_to_head(ballots: DataFrame) -> DataFrame:
@@ -113,4 +126,31 @@ def weighted_majority_graph(margins: DataFrame, alternatives: DataFrame, order:
 
 
 def graph_of(ballots: DataFrame, order: str = "borda", unlisted: str = "last") -> PrefGraph:
-    return weighted_majority_graph(majority_margins(ballots, unlisted), ballots.select("alt").distinct(), order)
+    """The weighted majority graph of ballots, stored. No pair is shuffled while what voters list together fits a broadcast.
+
+    An alternative's sum of margins follows from its own appearances, all appearances and its listed pairs, so ids come first and each
+    edge is made once, with its ids, in its direction.
+    """
+    with scratch() as keep:
+        listed = store(_co_listed(ballots), "listed", n=F.count(F.lit(1)))
+        count = store(appearances(ballots), "appearances", m=F.count(F.lit(1)), total=F.sum("n"))
+        m, total = count.told["m"], count.told["total"]
+        base = F.col("n") * F.lit(m) - F.lit(total) if unlisted == "last" else F.col("n") * 0
+        signed = listed.select(F.col("a").alias("alt"), F.col("margin").alias("x")).unionByName(listed.select(F.col("b").alias("alt"), (-F.col("margin")).alias("x")))
+        scored = count.join(signed.groupBy("alt").agg(F.sum("x").alias("x")), "alt", "left").select("alt", "n", (base + F.coalesce("x", F.col("n") * 0)).alias("borda"))
+        named = store(number_by(scored, order), "vertices")
+        vertices = store(named.select("alt", "borda", "id"), "vertices")
+        of = lambda end: small(named.select(F.col("alt").alias(end), F.col("id").alias(f"i{end}")), m)
+        ahead = F.col("ia") < F.col("ib")
+        told = listed.join(of("a"), "a").join(of("b"), "b").select(F.least("ia", "ib").alias("one"), F.greatest("ia", "ib").alias("two"), F.when(ahead, F.col("margin")).otherwise(-F.col("margin")).alias("c"))
+        if unlisted == "ignore":
+            pairs = told.withColumnRenamed("c", "w")
+        else:
+            every = spread_pairs(named.select("id", "n"), "id", m).select(F.col("first.id").alias("one"), (F.col("first.n") - F.col("n")).alias("base"), F.col("id").alias("two"))
+            pairs = every.join(small(store(told, "listed"), listed.told["n"]), ["one", "two"], "left").select("one", "two", (F.col("base") + F.coalesce("c", F.col("base") * 0)).alias("w"))
+        forth = F.col("w") > 0
+        kind = "long" if isinstance(ballots.schema["weight"].dataType, IntegralType) else ballots.schema["weight"].dataType
+        edges = pairs.filter("w <> 0").select(F.when(forth, F.col("one")).otherwise(F.col("two")).alias("src"), F.when(forth, F.col("two")).otherwise(F.col("one")).alias("dst"), F.abs("w").cast(kind).alias("w"))
+        edges = store(edges, "edges", n=F.count(F.lit(1)))
+        keep += [vertices, edges]
+    return PrefGraph(vertices, edges)

@@ -8,11 +8,12 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DecimalType, FractionalType, IntegralType
 
 from ..functions import path_width as width_of_weights
 from ..plans.bsp import run_bsp
-from ..plans.storage import store
-from .graph import PrefGraph
+from ..plans.storage import number, scratch, store
+from .graph import PrefGraph, ranked_weights, two_way
 
 FW_LIMIT = 3000  # vertices of which one task may hold the matrix of widths
 
@@ -24,15 +25,30 @@ def path_width(spark, path: list, g: PrefGraph):
     return widths.select(width_of_weights(F.transform("ws", lambda x: F.when(x >= 0, x))).alias("x")).first().x
 
 
+def _top(edges: DataFrame):
+    """A width that no edge exceeds, in the type of the weights."""
+    kind = edges.schema["w"].dataType
+    if isinstance(kind, DecimalType):
+        return F.lit("9" * (kind.precision - kind.scale)).cast(kind)
+    return F.lit(float("inf")).cast(kind) if isinstance(kind, FractionalType) else F.lit(1 << 62).cast("long")
+
+
 def widest_from(g: PrefGraph, sources: DataFrame, direction: str = "out", log: list | None = None) -> DataFrame:
     """(source, id, width): for each of sources(id) the width of a widest path to (direction "out") or from ("in") every vertex it is connected with."""
     edges = (g if direction == "out" else g.reversed()).edges
-    top = F.lit((1 << 62)).cast("long")
-    start = sources.select(F.col("id").alias("source"), "id", top.alias("value"))
+    start = sources.select(F.col("id").alias("source"), "id", _top(edges).alias("value"))
     done = run_bsp(start, edges, ["source"], lambda v, w: F.least(v, w), F.max, lambda new, old: new > old, log=log)
     return done.filter("id <> source").select("source", "id", F.col("value").alias("width"))
 
 
+def widest_both(g: PrefGraph, sources: DataFrame, log: list | None = None) -> DataFrame:
+    """(source, id, out, back): widths from each of sources(id) to a vertex and back, 0 without a path; both directions in one loop of supersteps."""
+    start = sources.select(F.explode(F.array(F.lit("f"), F.lit("b"))).alias("direction"), F.col("id").alias("source"), "id", _top(g.edges).alias("value"))
+    done = run_bsp(start, two_way(g.edges), ["direction", "source"], lambda v, w: F.least(v, w), F.max, lambda new, old: new > old, log=log)
+    width = lambda d: F.coalesce(F.max(F.when(F.col("direction") == d, F.col("value"))), F.lit(0))
+    return done.filter("id <> source").groupBy("source", "id").agg(width("f").alias("out"), width("b").alias("back"))
+
+
 def wide_path_exists(g: PrefGraph, a: int, b: int, w, strict: bool = False) -> bool:
     """Whether a path of width >= w (> w) leads from a to b: frontiers over the edges that are wide enough, until b is met."""
     edges, seen = g.at_least(w, strict).edges, g.vertices.filter(F.col("id") == a).select("id")
@@ -46,13 +62,14 @@ def wide_path_exists(g: PrefGraph, a: int, b: int, w, strict: bool = False) -> b
 
 
 def widest_by_threshold(g: PrefGraph, a: int, b: int):
-    """The width of a widest path by binary search over the distinct weights; None without a path."""
-    weights = sorted(r.w for r in g.edges.select("w").distinct().collect())
-    low, high, best = 0, len(weights) - 1, None
+    """The width of a widest path by binary search over the distinct weights; None without a path. The weights stay a numbered table."""
+    ranks = store(number(g.edges.select("w").distinct(), [F.col("w")], "rank"), "ranks", n=F.count(F.lit(1)))
+    low, high, best = 1, ranks.told["n"], None
     while low <= high:
         mid = (low + high) // 2
-        if wide_path_exists(g, a, b, weights[mid]):
-            best, low = weights[mid], mid + 1
+        w = ranks.filter(F.col("rank") == mid).first().w
+        if wide_path_exists(g, a, b, w):
+            best, low = w, mid + 1
         else:
             high = mid - 1
     return best
@@ -117,40 +134,54 @@ def _squaring(g: PrefGraph) -> DataFrame:
 
 
 def _blocked(g: PrefGraph, size: int = 256) -> DataFrame:
-    """Squaring on square blocks of a dense matrix: products of blocks meet by their middle block, and a block is one row."""
+    """Closure of a dense matrix in square blocks, each one row of a table, in three phases for each block on the diagonal.
+
+    The diagonal block is closed, then the blocks in its row and column, then every block (i, j) takes paths by (i, k) and (k, j). A phase
+    moves (m / size)^2 blocks at most, and a task holds three. What is broadcast to a phase is one block.
+    """
     blocks = g.edges.groupBy(F.floor(F.col("src") / size).cast("int").alias("i"), F.floor(F.col("dst") / size).cast("int").alias("j"))
+    form = lambda b: np.frombuffer(b, np.int64).reshape(size, size)
+    kind = "i int, j int, x binary"
 
     def dense(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         x = np.zeros((size, size), np.int64)
         x[rows.src % size, rows.dst % size] = rows.w
         return pd.DataFrame({"i": [key[0]], "j": [key[1]], "x": [x.tobytes()]})
 
-    form = lambda b: np.frombuffer(b, np.int64).reshape(size, size)
+    def extend(out: np.ndarray, one: np.ndarray, two: np.ndarray) -> np.ndarray:
+        for k in range(size):
+            np.maximum(out, np.minimum(one[:, k, None], two[None, k, :]), out=out)
+        return out
+
+    def panels(middle: bytes, k: int):
+        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            closed = form(middle)
+            for batch in batches:
+                done = [extend(form(x).copy(), closed, form(x)) if i == k else extend(form(x).copy(), form(x), closed) for i, x in zip(batch.i, batch.x, strict=True)]
+                yield pd.DataFrame({"i": batch.i, "j": batch.j, "x": [x.tobytes() for x in done]})
 
-    def product(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        return run
+
+    def through(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            for i, j, x, y in zip(batch.i, batch.j, batch.x, batch.y, strict=True):
-                one, two = form(x), form(y)
-                out = np.zeros((size, size), np.int64)
-                for k in range(size):
-                    np.maximum(out, np.minimum(one[:, k, None], two[None, k, :]), out=out)
-                yield pd.DataFrame({"i": [i], "j": [j], "x": [out.tobytes()]})
-
-    def join_max(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        out = form(rows.x.iloc[0]).copy()
-        for b in rows.x.iloc[1:]:
-            np.maximum(out, form(b), out=out)
-        return pd.DataFrame({"i": [key[0]], "j": [key[1]], "x": [out.tobytes()]})
-
-    p, before = store(blocks.applyInPandas(dense, "i int, j int, x binary"), "blocks"), None
-    while True:
-        pairs = p.select("i", F.col("j").alias("k"), "x").join(p.select(F.col("i").alias("k"), "j", F.col("x").alias("y")), "k")
-        made = pairs.select("i", "j", "x", "y").mapInPandas(product, "i int, j int, x binary")
-        p = store(p.unionByName(made).groupBy("i", "j").applyInPandas(join_max, "i int, j int, x binary"), "blocks")
-        now = p.agg(F.count(F.lit(1)), F.sum(F.xxhash64("i", "j", "x").cast("decimal(38,0)"))).first()
-        if now == before:
-            break
-        before = now
+            made = [extend(np.zeros((size, size), np.int64) if x is None else form(x).copy(), form(one), form(two)) if one is not None and two is not None else form(x) for x, one, two in zip(batch.x, batch.one, batch.two, strict=True)]
+            yield pd.DataFrame({"i": batch.i, "j": batch.j, "x": [x.tobytes() for x in made]})
+
+    p = store(blocks.applyInPandas(dense, kind), "blocks", last=F.max(F.greatest("i", "j")))
+    for k in range(1 + (p.told["last"] if p.told["last"] is not None else -1)):
+        with scratch() as keep:
+            row = p.filter((F.col("i") == k) & (F.col("j") == k)).first()
+            if row is not None:
+                middle = closure_matrix(form(row.x)).tobytes()
+                sides = store(p.filter(((F.col("i") == k) | (F.col("j") == k)) & (F.col("i") != F.col("j"))).mapInPandas(panels(middle, k), kind), "blocks")
+                sides = sides.unionByName(p.sparkSession.createDataFrame([(k, k, middle)], kind))
+            else:
+                sides = p.filter((F.col("i") == k) | (F.col("j") == k))
+            into, out = sides.filter(f"j = {k} and i <> {k}").select("i", F.col("x").alias("one")), sides.filter(f"i = {k} and j <> {k}").select("j", F.col("x").alias("two"))
+            grid = _grid(into.select("i"), out.select("j"))
+            rest = p.filter(f"i <> {k} and j <> {k}").join(grid, ["i", "j"], "full_outer").join(into, "i", "left").join(out, "j", "left").select("i", "j", "x", "one", "two")
+            p = store(rest.mapInPandas(through, kind).unionByName(sides), "blocks")
+            keep.append(p)
 
     def sparse(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -163,8 +194,24 @@ def _blocked(g: PrefGraph, size: int = 256) -> DataFrame:
     return p.mapInPandas(sparse, "a long, b long, width long")
 
 
+def _grid(into: DataFrame, out: DataFrame) -> DataFrame:
+    """(i, j) of the blocks that paths by the middle block may fill: one array of the columns, of at most m / size numbers, to each row."""
+    columns = out.agg(F.collect_list("j").alias("_js"))
+    return into.join(F.broadcast(columns), F.lit(True)).select("i", F.explode("_js").alias("j"))
+
+
 def all_pairs_widest(g: PrefGraph, method: str = "squaring") -> DataFrame:
-    """(a, b, width) of all connected ordered pairs. Methods: fw (one task), squaring, blocked, vertex (every vertex a source)."""
+    """(a, b, width) of all connected ordered pairs. Methods: fw (one task), squaring, blocked, vertex (every vertex a source).
+
+    Weights are whole or real numbers above 0. The matrices of fw and blocked hold ranks of weights where these are not whole numbers.
+    """
     if method == "vertex":
         return widest_from(g, g.vertices.select("id")).select(F.col("source").alias("a"), F.col("id").alias("b"), "width")
-    return {"fw": _floyd_warshall, "squaring": _squaring, "blocked": _blocked}[method](g)
+    if method == "squaring":
+        return _squaring(g)
+    close = {"fw": _floyd_warshall, "blocked": _blocked}[method]
+    if isinstance(g.edges.schema["w"].dataType, IntegralType):
+        return close(g)
+    edges, ranks = ranked_weights(g.edges)
+    found = close(PrefGraph(g.vertices, edges))
+    return found.join(ranks.select(F.col("rank").alias("width"), "w"), "width").select("a", "b", F.col("w").alias("width"))

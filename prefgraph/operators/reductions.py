@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.storage import every_pair
 from .graph import PrefGraph
 
 
@@ -43,7 +44,7 @@ def emas_to_ranked_pairs(edges: DataFrame, f: int) -> tuple[DataFrame, DataFrame
     up = up.unionByName(chosen.select(F.col("src").alias("a"), F.lit(0).cast("long").alias("b"), weight.alias("margin")))
     up = up.unionByName(chosen.select(F.lit(0).cast("long").alias("a"), F.col("dst").alias("b"), F.lit(m + 1).cast("long").alias("margin")))
     ids = edges.select(F.col("src").alias("v")).unionByName(edges.select(F.col("dst").alias("v"))).distinct().unionByName(edges.sparkSession.createDataFrame([(0,)], "v long"))
-    pairs = ids.select(F.lit(1).alias("k"), F.col("v").alias("a")).join(ids.select(F.lit(1).alias("k"), F.col("v").alias("b")), "k").filter("a <> b").select("a", "b", F.lit(0).cast("long").alias("margin"))
+    pairs = every_pair(ids, [F.col("v")], both=True).select(F.col("one.v").alias("a"), F.col("two.v").alias("b"), F.lit(0).cast("long").alias("margin"))
     signed = up.unionByName(up.select(F.col("b").alias("a"), F.col("a").alias("b"), (-F.col("margin")).alias("margin"))).unionByName(pairs)
     return signed.groupBy("a", "b").agg(F.sum("margin").cast("long").alias("margin")), ids.select(F.col("v").alias("alt"), F.col("v").alias("pos"))
 

@@ -6,9 +6,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from ..plans.storage import store
+from ..plans.storage import discard, every_pair, small, store
 from .graph import PrefGraph
-from .paths import widest_from
+from .paths import widest_both
 
 
 def beats(p: DataFrame) -> DataFrame:
@@ -38,17 +38,15 @@ def ranking(p: DataFrame, vertices: DataFrame) -> DataFrame:
 
 def relation(p: DataFrame, vertices: DataFrame) -> DataFrame:
     """(a, b) of the relation "at least as good", without (a, a): all pairs but those where b beats a. Quadratic, as the relation is."""
-    ids = vertices.select(F.lit(1).alias("k"), "id")
-    pairs = ids.select("k", F.col("id").alias("a")).join(ids.select("k", F.col("id").alias("b")), "k").filter("a <> b").select("a", "b")
+    pairs = every_pair(vertices.select("id"), [F.col("id")], both=True).select(F.col("one.id").alias("a"), F.col("two.id").alias("b"))
     return pairs.join(beats(p).select(F.col("b").alias("a"), F.col("a").alias("b")), ["a", "b"], "left_anti")
 
 
 def _against(g: PrefGraph, c: int) -> DataFrame:
     """(id, out, back): widths from c to every other alternative and back, 0 without a path."""
-    one = g.vertices.filter(F.col("id") == c).select("id")
-    out, back = (widest_from(g, one, d).select("id", F.col("width").alias(n)) for d, n in (("out", "out"), ("in", "back")))
+    found = widest_both(g, g.vertices.filter(F.col("id") == c).select("id"))
     others = g.vertices.filter(F.col("id") != c).select("id")
-    return others.join(out, "id", "left").join(back, "id", "left").select("id", F.coalesce("out", F.lit(0)).alias("out"), F.coalesce("back", F.lit(0)).alias("back"))
+    return others.join(found, "id", "left").select("id", F.coalesce("out", F.lit(0)).alias("out"), F.coalesce("back", F.lit(0)).alias("back"))
 
 
 def is_winner(g: PrefGraph, c: int) -> tuple[bool, DataFrame]:
@@ -70,16 +68,21 @@ def top_k(g: PrefGraph, k: int, mode: str = "remove", find=None) -> DataFrame:
     if mode == "ranking":
         r = ranking(all_pairs_widest(g), g.vertices)
         return r.filter(F.col("rnk") <= k).select(F.dense_rank().over(Window.orderBy("rnk")).cast("int").alias("tier"), "id")
-    find, rest, found, tier = find or find_winners, g, [], 0
-    while len(found) < k:
-        won = [r.id for r in find(rest).winners.collect()]
-        if not won:
+    find, rest, found, tier = find or find_winners, g, None, 0
+    have = 0
+    while have < k:
+        won = store(find(rest).winners.select(F.lit(tier + 1).alias("tier"), "id"), "tier", n=F.count(F.lit(1)))
+        if not won.told["n"]:
             break
-        tier += 1
-        found += [(tier, i) for i in won]
-        gone = F.col("id").isin(won)
-        rest = PrefGraph(store(rest.vertices.filter(~gone), "rest"), store(rest.edges.filter(~F.col("src").isin(won) & ~F.col("dst").isin(won)), "rest"))
-    return g.vertices.sparkSession.createDataFrame(found, "tier int, id long")
+        tier, have = tier + 1, have + won.told["n"]
+        found = won if found is None else found.unionByName(won)
+        gone = lambda end: small(won.select(F.col("id").alias(end)), won.told["n"])  # noqa: B023, E731
+        after = PrefGraph(store(rest.vertices.join(gone("id"), "id", "left_anti"), "rest"), store(rest.edges.join(gone("src"), "src", "left_anti").join(gone("dst"), "dst", "left_anti").select("src", "dst", "w"), "rest"))
+        if tier > 1:
+            discard(rest.vertices)
+            discard(rest.edges)
+        rest = after
+    return g.vertices.select(F.lit(0).alias("tier"), "id").limit(0) if found is None else found
 
 
 def describe(winners: DataFrame, dimension: DataFrame, key: str) -> DataFrame:

@@ -12,17 +12,21 @@ from ..plans.storage import number
 def borda(edges: DataFrame, alternatives: DataFrame, src: str = "a", dst: str = "b") -> DataFrame:
     """(alt, borda): the sum of an alternative's margins over all others, 0 without edges."""
     rows = edges.select(F.col(src).alias("alt"), F.col("w").alias("x")).unionByName(edges.select(F.col(dst).alias("alt"), (-F.col("w")).alias("x")))
-    rows = rows.unionByName(alternatives.select("alt", F.lit(0).cast("long").alias("x")))
-    return rows.groupBy("alt").agg(F.sum("x").cast("long").alias("borda"))
+    rows = rows.unionByName(alternatives.select("alt", F.lit(0).cast(edges.schema["w"].dataType).alias("x")))
+    return rows.groupBy("alt").agg(F.sum("x").alias("borda"))
 
 
-def assign_ids(edges: DataFrame, alternatives: DataFrame, order: str = "borda") -> DataFrame:
-    """vertices(alt, borda, id): ids from 1 by borda (descending), borda_asc, key or random; ties by alternative."""
-    scored = borda(edges, alternatives)
+def number_by(scored: DataFrame, order: str = "borda") -> DataFrame:
+    """scored(alt, borda, ...) with ids from 1 by borda (descending), borda_asc, key or random; ties by alternative."""
     first = {"borda": [F.desc("borda")], "borda_asc": [F.asc("borda")], "key": [], "random": [F.xxhash64(F.lit(17), "alt")]}[order]
     return number(scored, [*first, F.col("alt")])
 
 
+def assign_ids(edges: DataFrame, alternatives: DataFrame, order: str = "borda") -> DataFrame:
+    """vertices(alt, borda, id) of a graph's alternatives, with ids in the given order (number_by)."""
+    return number_by(borda(edges, alternatives), order)
+
+
 def condorcet_winner(g) -> DataFrame:
     """(id): the alternative that dominates all others, if there is one."""
     m = g.vertices.count()
