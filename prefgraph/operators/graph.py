@@ -43,10 +43,9 @@ def from_edges(spark, edges: list[tuple], vertices: list | None = None) -> PrefG
     return PrefGraph(spark.createDataFrame([(i, i) for i in ids], "alt long, id long"), spark.createDataFrame(edges, "src long, dst long, w long"))
 
 
-def two_way(edges: DataFrame) -> DataFrame:
-    """Edges in both directions, marked: f along, b against them; one scan."""
-    ends = F.array(F.struct(F.lit("f").alias("direction"), F.col("src").alias("src"), F.col("dst").alias("dst")), F.struct(F.lit("b").alias("direction"), F.col("dst").alias("src"), F.col("src").alias("dst")))
-    return edges.select("w", F.explode(ends).alias("_e")).select("_e.direction", "_e.src", "_e.dst", "w")
+def two_way(edges: DataFrame) -> dict[str, DataFrame]:
+    """Edges in both directions: f along, b against them."""
+    return {"f": edges.select("src", "dst", "w"), "b": edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w")}
 
 
 def ranked_weights(edges: DataFrame) -> tuple[DataFrame, DataFrame]:

@@ -62,7 +62,7 @@ def test_literals(spark):
     assert ids(components.schwartz_set(cycles)) == {1, 2, 3, 4, 5, 6} and {(r.id, r.scc) for r in components.strongly_connected(cycles).collect()} == {(1, 1), (2, 1), (3, 1), (4, 4), (5, 4), (6, 4)}
 
 
-@pytest.mark.parametrize("flags", [{"strategy": "labels", "finish_threshold": 0, "prune": "zero"}, {"strategy": "labels", "finish_threshold": 0, "combiner": False, "init": False}, {"strategy": "pivot"}, {"finish_threshold": 0}, {}])
+@pytest.mark.parametrize("flags", [{"strategy": "labels", "finish_threshold": 0, "prune": "zero"}, {"strategy": "labels", "finish_threshold": 0, "combiner": False, "init": False}, {"strategy": "labels", "finish_threshold": 0, "labels": 3, "init": False}, {"strategy": "labels", "finish_threshold": 0, "labels": 2, "ids": "borda_asc", "prune": "none"}, {"strategy": "pivot", "ids": "key"}, {"finish_threshold": 0}, {}])
 def test_strategies(spark, flags):
     """Several random graphs side by side are one graph; its winners are theirs."""
     r = random.Random(str(sorted(flags)))
@@ -130,16 +130,72 @@ def test_axioms_and_synthetic(spark):
     assert ids(winners.find_winners(g).winners) == brute(range(1, 61), [tuple(x) for x in g.edges.collect()])
 
 
-def test_superstep_plan_combines_by_hash(spark, example):
-    """The message minimum is a partial and a final hash aggregation, without a Cartesian product."""
+def test_superstep_plan(spark, example):
+    """Few changed rows are broadcast to edges that stay where they are; the minimum is a partial and a final hash aggregation."""
     from pyspark.sql import functions as F
 
+    from prefgraph.functions import pack
     from prefgraph.operators.metrics import plan_text
+    from prefgraph.plans.bsp import superstep
+    from prefgraph.plans.storage import BROADCAST_ROWS, store
 
-    labels = winners.init_labels(winners.initial_status(example))
-    sent = labels.withColumnRenamed("id", "src").join(winners.two_way(example.edges), ["direction", "src"]).groupBy("direction", "dst").agg(F.min("value"))
-    text = plan_text(sent)
+    now = store(winners.init_labels(winners.initial_status(example)).withColumn("moved", F.lit(True)), moved=F.count(F.lit(1)))
+    edges = store(example.edges)
+    parts = winners.two_way(edges), ["direction"], lambda v, w: pack(v, w), F.min, lambda new, old: new < old
+    text = plan_text(superstep(now, *parts)[0].groupBy("direction", "id").agg(F.min("value")))
     assert text.count("HashAggregate") >= 2 and "SortAggregate" not in text and "CartesianProduct" not in text
+    assert "BroadcastHashJoin" in text and "SortMergeJoin" not in text and "hashpartitioning(src" not in text
+    now.told = {"moved": BROADCAST_ROWS + 1}
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    assert "SortMergeJoin" in plan_text(superstep(now, *parts)[0])
+    spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_no_cartesian_products(spark, example):
+    from prefgraph.operators.metrics import plan_text
+
+    p = paths.all_pairs_widest(example)
+    order = spark.createDataFrame([(1, 1), (2, 2), (3, 3), (4, 4)], "alt long, rnk long")
+    edges = spark.createDataFrame([(1, 1, 2), (2, 2, 3)], "ord long, src long, dst long")
+    for df in (rule.relation(p, example.vertices), checks.kendall(order, order), reductions.emas_to_ranked_pairs(edges, 1)[0]):
+        text = plan_text(df)
+        assert "CartesianProduct" not in text and "BroadcastNestedLoopJoin" not in text
+
+
+@pytest.mark.parametrize("scale", [float("nan"), 1 << 32, 0.1])
+def test_weights_of_any_size_and_type(spark, scale):
+    """Only the order of weights matters: whole weights beyond 31 bits and real ones give the winners and widths of small ones."""
+    if scale != scale:
+        g = from_edges(spark, EXAMPLE)
+        g.edges = g.edges.selectExpr("src", "dst", "cast(w as decimal(9, 2)) / 4 as w")
+        scale = 0.25
+    else:
+        g = from_edges(spark, EXAMPLE)
+        g.edges = spark.createDataFrame([(a, b, w * scale) for a, b, w in EXAMPLE], "src long, dst long, w " + ("long" if scale > 1 else "double"))
+    for flags in ({"strategy": "labels", "finish_threshold": 0}, {"strategy": "pivot"}, {}):
+        assert ids(winners.find_winners(g, **flags).winners) == {A}
+    for method in ("fw", "squaring", "blocked", "vertex"):
+        assert {(r.a, r.b): round(float(r.width) / scale, 6) for r in paths.all_pairs_widest(g, method).collect()} == WIDTHS
+
+
+def test_blocks_of_a_closure(spark):
+    """More than one block of vertices, with blocks that only paths fill."""
+    rng = random.Random(3)
+    edges = [(a, b, rng.randint(1, 9)) for a, b in {tuple(sorted(rng.sample(range(9), 2))) for _ in range(14)}]
+    g = from_edges(spark, [(a, b, w) if rng.random() < 0.5 else (b, a, w) for a, b, w in edges], list(range(9)))
+    want = {tuple(r) for r in paths.all_pairs_widest(g, "squaring").collect()}
+    assert {tuple(r) for r in paths._blocked(g, 4).collect()} == want
+
+
+def test_scratch_and_log(spark, example, tmp_path, monkeypatch):
+    """A run leaves its statuses and no other table; the log counts what moves."""
+    from prefgraph.plans import storage
+
+    monkeypatch.setattr(storage, "shared_folder", lambda s: str(tmp_path))
+    found = winners.find_winners(example, "labels", finish_threshold=0, messages=True)
+    assert ids(found.winners) == {A} and [x.name.split("-")[0] for x in tmp_path.iterdir()] == ["status"]
+    steps = found.log[1]["steps"]
+    assert steps[0]["active"] == 2 * found.log[0]["undecided"] and steps[0]["messages"] > 0 and steps[-1]["changed"] == 0 and steps[0]["state_bytes"] > 0
 
 
 def test_uncovered_set(spark, example):
