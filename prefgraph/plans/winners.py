@@ -7,7 +7,8 @@ Three exact ways share one table of statuses:
 * pivot passes: the undecided vertex of the least id (the best score) is compared with all others by two single-source searches;
 * the finish: all undecided vertices, if few, are compared with all others together.
 
-``strategy="auto"`` takes pivots while a pass decides half of the undecided, the finish when few are left, label passes otherwise;
+``strategy="auto"`` takes pivots while a pass decides half of the undecided, the finish when few are left or its messages are few enough,
+label passes otherwise;
 ``strategy="labels", finish_threshold=0, prune="zero"`` is the plain label method; ``labels=q`` lets a vertex hold q ids in a pass.
 """
 
@@ -25,6 +26,8 @@ from ..operators.scores import assign_ids
 from .bsp import run_bsp
 from .storage import discard, scratch, small, store
 
+#: Undecided vertices that are compared with all others at once, if a superstep of that sends at most so many messages.
+FEW, MESSAGES = 64, 2_000_000_000
 UNKNOWN, WINNER, LOSER = "unknown", "winner", "loser"
 
 
@@ -193,7 +196,7 @@ def pivot_pass(g: PrefGraph, state: DataFrame, steps: list | None = None) -> Dat
 
 
 def find_winners(
-    g: PrefGraph, strategy: str = "auto", prune: str = "drop", combiner: bool = True, init: bool = True, finish_threshold: int = 64, max_rounds: int | None = None,
+    g: PrefGraph, strategy: str = "auto", prune: str = "drop", combiner: bool = True, init: bool = True, finish_threshold: int = FEW, max_rounds: int | None = None,
     labels: int = 1, ids: str | None = None, messages: bool = False,
 ) -> WinnersResult:
     """The winners of the widest-path rule, with a log of rounds, supersteps and undecided vertices. An empty graph has none; without edges all win.
@@ -204,6 +207,13 @@ def find_winners(
     if ids is not None:
         return _in_order(g, ids, strategy=strategy, prune=prune, combiner=combiner, init=init, finish_threshold=finish_threshold, max_rounds=max_rounds, labels=labels, messages=messages)
     log: list[dict] = []
+    size: list[int] = []
+
+    def affordable(undecided: int) -> bool:
+        if not size:
+            size.append(getattr(g.edges, "told", {}).get("n") or g.edges.count())
+        return 2 * undecided * size[0] <= MESSAGES
+
     with scratch() as keep:
         state = _status(initial_status(g) if init else g.vertices.select("id", F.lit(UNKNOWN).alias("status")))
         edges, left, halved = None, state.told["undecided"], True
@@ -211,10 +221,12 @@ def find_winners(
         while left and (max_rounds is None or len(log) <= max_rounds):
             steps: list = []
             before = state
-            if left <= finish_threshold and strategy in ("auto", "labels"):
+            if strategy in ("auto", "labels") and left <= finish_threshold and (finish_threshold != FEW or affordable(left)):
                 kind, state = "finish", finish_exact(g, state, steps)
             elif strategy == "pivot" or (strategy == "auto" and halved):
                 kind, state = "pivot", pivot_pass(g, state, steps)
+            elif strategy == "auto" and finish_threshold and affordable(left):
+                kind, state = "finish", finish_exact(g, state, steps)
             else:
                 kind, old = "labels", edges
                 edges = with_ranks(g).edges if edges is None else edges

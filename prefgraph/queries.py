@@ -15,8 +15,8 @@ from .operators import checks, components, metrics, paths, rankedpairs, reductio
 from .operators import margins as mg
 from .operators.graph import PrefGraph, from_edges
 from .plans import winners as wn
-from .plans.storage import shared_folder, store
-from .sources import load, read_ballots, read_graph, write_graph
+from .plans.storage import number, shared_folder, store
+from .sources import load, read_ballots, read_graph, write_graph, write_log
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -50,6 +50,10 @@ WORKLOADS: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]] = {
     "w2s": (lambda s, d: bl.chart_ballots(s, d, region="EUROPE", k=20), _chart_sql(20, "EUROPE")),
     "w3s": (lambda s, d: bl.chart_ballots(s, d, k=15), _chart_sql(15)),
     "w4s": (lambda s, d: bl.chart_ballots(s, d, k=20), _chart_sql(20)),
+    "w1": (lambda s, d: bl.chart_ballots(s, d, region="EUROPE", k=15, alt="l_partkey"), _chart_sql(15, "EUROPE", "l_partkey")),
+    "w2": (lambda s, d: bl.chart_ballots(s, d, region="EUROPE", k=20, alt="l_partkey"), _chart_sql(20, "EUROPE", "l_partkey")),
+    "w3": (lambda s, d: bl.chart_ballots(s, d, k=15, alt="l_partkey"), _chart_sql(15, alt="l_partkey")),
+    "w4": (lambda s, d: bl.chart_ballots(s, d, k=20, alt="l_partkey"), _chart_sql(20, alt="l_partkey")),
     "w11": (lambda s, d: bl.chart_ballots(s, d, period="quarter", region="EUROPE", k=None), _chart_sql(None, "EUROPE", period="quarter")),
     "w12b": (lambda s, d: bl.chart_ballots(s, d, k=10, alt="p_brand"), _chart_sql(10, alt="p_brand")),
     "w12c": (lambda s, d: bl.chart_ballots(s, d, k=10, alt="p_name"), _chart_sql(10, alt="p_name")),
@@ -73,9 +77,19 @@ def _weighted(s: SparkSession, d: str) -> DataFrame:
     return bl.with_weights(b, of)
 
 
+def _real_weighted(s: SparkSession, d: str) -> DataFrame:
+    """Voters weigh their nation's balances, in cents."""
+    weights = load(s, d, "customer").groupBy("c_nationkey").agg(F.sum(F.abs(F.col("c_acctbal").cast("decimal(12,2)"))).cast("decimal(14,2)").alias("weight"))
+    b = bl.chart_ballots(s, d, k=20)
+    of = b.select("voter").distinct().withColumn("nat", F.substring_index("voter", "-", -1).cast("int")).join(weights, F.col("nat") == F.col("c_nationkey")).select("voter", "weight")
+    return bl.with_weights(b, of)
+
+
+_REAL_WEIGHT = "(SELECT sum(abs(CAST(c_acctbal AS DECIMAL(12, 2)))) FROM customer WHERE c_nationkey = nat)"
 _RANKED = "b AS (SELECT voter, alt, rank() OVER (PARTITION BY voter ORDER BY score DESC) AS rank, 1 AS weight FROM sc)"
 WORKLOADS |= {
     "w5": (_weighted, _chart_sql(20, weight=_WEIGHT)),
+    "w5r": (_real_weighted, _chart_sql(20, weight=_REAL_WEIGHT)),
     "w10": (
         lambda s, d: bl.from_vectors(load(s, d, "embeddings"), "vec_id", "embedding"),
         f"sc AS (SELECT i AS voter, vec_id AS alt, embedding[i] AS score FROM embeddings, range(1, 65) AS r(i)), {_RANKED}",
@@ -97,16 +111,35 @@ m AS (SELECT p.alt AS a, q.alt AS b, CAST(coalesce(c, 0) + p.n - q.n AS BIGINT)
 e AS (SELECT a, b, margin AS w FROM m WHERE margin > 0)"""
 
 
-def _closure(steps: int = 8, source: str = "e") -> str:
-    out = [f"p0 AS MATERIALIZED (SELECT a, b, w FROM {source})"]
+def _closure(steps: int = 8, source: str = "e", p: str = "p", beat: str = "beat") -> str:
+    out = [f"{p}0 AS MATERIALIZED (SELECT a, b, w FROM {source})"]
     for i in range(steps):
-        out.append(f"p{i + 1} AS MATERIALIZED (SELECT a, b, max(w) AS w FROM (SELECT * FROM p{i} UNION ALL SELECT x.a, y.b, least(x.w, y.w) FROM p{i} x JOIN p{i} y ON x.b = y.a AND x.a <> y.b) GROUP BY 1, 2)")
-    return ", ".join([*out, f"p AS (SELECT a, b, w FROM p{steps})", "beat AS (SELECT x.a, x.b FROM p x LEFT JOIN p y ON x.a = y.b AND x.b = y.a WHERE x.w > coalesce(y.w, 0))"])
+        out.append(f"{p}{i + 1} AS MATERIALIZED (SELECT a, b, max(w) AS w FROM (SELECT * FROM {p}{i} UNION ALL SELECT x.a, y.b, least(x.w, y.w) FROM {p}{i} x JOIN {p}{i} y ON x.b = y.a AND x.a <> y.b) GROUP BY 1, 2)")
+    return ", ".join([*out, f"{p} AS (SELECT a, b, w FROM {p}{steps})", f"{beat} AS (SELECT x.a, x.b FROM {p} x LEFT JOIN {p} y ON x.a = y.b AND x.b = y.a WHERE x.w > coalesce(y.w, 0))"])
+
+
+def _searches(name: str, sources: str, steps: int) -> str:
+    """CTEs {name}o and {name}i: widths from each of sources(s) to a vertex v and back, along up to steps edges."""
+    out = []
+    for d, near, far in (("o", "a", "b"), ("i", "b", "a")):
+        out.append(f"{name}{d}0 AS MATERIALIZED (SELECT s, s AS v, CAST(9000000000000000 AS DECIMAL(18, 0)) AS w FROM ({sources}))")
+        for k in range(steps):
+            out.append(f"{name}{d}{k + 1} AS MATERIALIZED (SELECT s, v, max(w) AS w FROM (SELECT * FROM {name}{d}{k} UNION ALL SELECT x.s, e.{far}, least(x.w, e.w) FROM {name}{d}{k} x JOIN e ON e.{near} = x.v) GROUP BY 1, 2)")
+        out.append(f"{name}{d} AS (SELECT s, v, w FROM {name}{d}{steps})")
+    return ", ".join(out)
+
+
+def _winners_sql(head: str, steps: int) -> str:
+    """Winners without all pairs: what one vertex does not beat is compared with all others."""
+    first = "SELECT alt AS s FROM n LEFT JOIN (SELECT x, sum(w) AS t FROM (SELECT a AS x, w FROM e UNION ALL SELECT b, -w FROM e) GROUP BY 1) ON x = alt ORDER BY coalesce(t, 0) DESC, alt LIMIT 1"
+    open_ = "SELECT alt AS s FROM n LEFT JOIN fo ON fo.v = alt LEFT JOIN fi ON fi.v = alt WHERE coalesce(fi.w, 0) >= coalesce(fo.w, 0)"
+    return f"WITH {head}, e1 AS MATERIALIZED (SELECT a, b, w FROM e0), e AS (SELECT * FROM e1), {_searches('f', first, steps)}, open AS MATERIALIZED ({open_}), {_searches('g', 'SELECT s FROM open', steps)} SELECT s AS alt FROM open WHERE NOT EXISTS (SELECT 1 FROM gi LEFT JOIN go ON go.s = gi.s AND go.v = gi.v WHERE gi.s = open.s AND gi.v <> gi.s AND gi.w > coalesce(go.w, 0))"
 
 
 def _sql(workload: str, tail: str, closure: bool = False) -> str:
     steps = 11 if workload == "w10" else 8  # paths of up to 2^steps edges
-    return f"WITH {WORKLOADS[workload][1]}, {_MARGINS}{', ' + _closure(steps) if closure else ''} {tail}"
+    margins = _MARGINS.replace("AS BIGINT) AS margin", "AS DECIMAL(24, 2)) AS margin") if workload == "w5r" else _MARGINS
+    return f"WITH {WORKLOADS[workload][1]}, {margins}{', ' + _closure(steps) if closure else ''} {tail}"
 
 
 _WON = "SELECT alt FROM n WHERE alt NOT IN (SELECT b FROM beat)"
@@ -131,9 +164,11 @@ for _w, _label in (("w4s", "ballots_global20_supplier"), ("w2s", "ballots_europe
     query(f"WITH {WORKLOADS[_w][1]} SELECT CAST({_voter} AS VARCHAR) AS voter, alt, CAST(rank AS INT) AS rank, CAST(weight AS BIGINT) AS weight FROM b", _label)(ballots_of(_w))
 
 
-@query("WITH " + WORKLOADS["w4s"][1] + " SELECT voter, alt, 'listed twice' AS problem FROM b GROUP BY 1, 2 HAVING count(*) > 1")
+@query("SELECT l_orderkey AS voter, l_suppkey AS alt, 'listed twice' AS problem FROM lineitem GROUP BY 1, 2 HAVING count(*) > 1 UNION ALL SELECT l_orderkey, l_suppkey, 'missing value' FROM lineitem WHERE l_returnflag = 'R'")
 def ballot_validation(s, d):
-    return bl.validate(ballots_of("w4s")(s, d))
+    """Order lines as if they were ballots, without a rank where the line was returned: suppliers that an order names twice, and what is missing."""
+    rows = load(s, d, "lineitem").select(F.col("l_orderkey").alias("voter"), F.col("l_suppkey").alias("alt"), F.when(F.col("l_returnflag") != "R", F.col("l_linenumber")).alias("rank"))
+    return bl.validate(rows)
 
 
 @query("WITH " + WORKLOADS["w12d"][1] + " SELECT CAST(voter AS VARCHAR) AS voter, alt, CAST(rank AS INT) AS rank, CAST(1 AS BIGINT) AS weight FROM b")
@@ -210,13 +245,13 @@ def margins_by_region_rollup(s, d):
     return mg.by_group(b, "r_name").select("r_name", "a", "b", "margin")
 
 
-for _w in ("w1s", "w2s", "w3s", "w4s"):
+for _w in ("w1s", "w2s", "w3s", "w4s", "w1", "w2", "w3", "w4"):
     query(_sql(_w, "SELECT a AS src, b AS dst, w FROM e"), f"wmg_edges_{_w}")(lambda s, d, w=_w: (lambda g: g.named(g.edges, "src", "dst"))(graph(s, d, w)))
     query(
         _sql(_w, "SELECT (SELECT count(*) FROM n) AS alternatives, count(*) AS edges, max(w) AS max_weight, round(count(*) / ((SELECT count(*) FROM n) * ((SELECT count(*) FROM n) - 1) / 2), 6) AS density FROM e"), f"wmg_stats_{_w}",
     )(lambda s, d, w=_w: metrics.graph_stats(graph(s, d, w)))
     query(
-        _sql(_w, "SELECT count(*) AS undecided FROM n WHERE coalesce((SELECT max(w) FROM e WHERE e.b = alt), 0) <= coalesce((SELECT max(w) FROM e WHERE e.a = alt), 0)"), f"undecided_after_init_{_w}",
+        _sql(_w, "SELECT count(*) AS undecided FROM n LEFT JOIN (SELECT b, max(w) AS i FROM e GROUP BY 1) ON b = alt LEFT JOIN (SELECT a, max(w) AS o FROM e GROUP BY 1) ON a = alt WHERE coalesce(i, 0) <= coalesce(o, 0)"), f"undecided_after_init_{_w}",
     )(lambda s, d, w=_w: wn.initial_status(graph(s, d, w)).filter(F.col("status") == wn.UNKNOWN).agg(F.count(F.lit(1)).alias("undecided")))
 
 _BORDA = "SELECT alt, CAST(coalesce((SELECT sum(margin) FROM m WHERE a = alt), 0) AS BIGINT) AS borda FROM n"
@@ -298,18 +333,43 @@ query(_sql("w4s", _RANKING, True), "ranking_supplier")(lambda s, d: (lambda g: r
 
 for _w, _label in (("w1s", "winners_w1s"), ("w2s", "winners_w2s"), ("w3s", "winners_w3s"), ("w4s", "winners_w4s"), ("w5", "winners_weighted"), ("w10", "winners_embeddings"), ("w11", "winners_quarter"), ("w12b", "winners_brand"), ("w12c", "winners_name"), ("w12d", "winners_events"), ("docs", "winners_documents")):
     query(_sql(_w, _WON, True), _label)(lambda s, d, w=_w: (lambda g: _named(g, wn.find_winners(g).winners))(graph(s, d, w)))
-for _label, _flags in {"labels": {"strategy": "labels", "finish_threshold": 0, "prune": "zero"}, "pivot": {"strategy": "pivot"}, "no_init": {"init": False}, "no_combiner": {"strategy": "labels", "finish_threshold": 0, "combiner": False}}.items():
+for _w in ("w1", "w2", "w3", "w4"):
+    query(_winners_sql(f"{WORKLOADS[_w][1]}, {_MARGINS.replace('e AS (', 'e0 AS (')}", 8), f"winners_{_w}")(lambda s, d, w=_w: (lambda g: _named(g, wn.find_winners(g).winners))(graph(s, d, w)))
+_LITERAL = {"strategy": "labels", "finish_threshold": 0}
+for _label, _flags in {
+    "labels": {**_LITERAL, "prune": "zero"}, "pivot": {"strategy": "pivot"}, "no_init": {"init": False}, "no_combiner": {**_LITERAL, "combiner": False}, "prune_none": {**_LITERAL, "prune": "none", "init": False},
+    "prune_drop": {**_LITERAL, "init": False}, "ids_key": {**_LITERAL, "ids": "key"}, "ids_random": {**_LITERAL, "ids": "random"}, "ids_ascending": {**_LITERAL, "ids": "borda_asc"}, "three_labels": {**_LITERAL, "labels": 3, "ids": "borda_asc"},
+}.items():
     query(_sql("w12a", _WON, True), f"winners_flags_{_label}")(lambda s, d, f=_flags: (lambda g: _named(g, wn.find_winners(g, **f).winners))(graph(s, d, "w12a")))
+for _label, _flags in {"labels": _LITERAL, "pivot": {"strategy": "pivot"}, "auto": {}}.items():
+    query(_sql("w5r", _WON, True), f"winners_real_weights_{_label}")(lambda s, d, f=_flags: (lambda g: _named(g, wn.find_winners(g, **f).winners))(graph(s, d, "w5r")))
+query(_sql("w5", _WON, True), "winners_weights_beyond_31_bits")(lambda s, d: (lambda g: _named(g, wn.find_winners(PrefGraph(g.vertices, g.edges.withColumn("w", F.col("w") * F.lit(1 << 33))), **_LITERAL).winners))(graph(s, d, "w5")))
+query(_sql("w5r", "SELECT a, b, w AS width FROM p", True), "widest_paths_real_weights")(lambda s, d: (lambda g: g.named(paths.all_pairs_widest(g, "blocked"), "a", "b"))(graph(s, d, "w5r")))
 
 
-def _head_to_head_suppliers(s: SparkSession, d: str) -> PrefGraph:
-    rows = load(s, d, "lineitem").groupBy(F.col("l_orderkey").alias("voter"), F.col("l_suppkey").alias("alt")).agg(F.sum(F.col("l_quantity").cast("long")).alias("score"))
+@query()
+def ablations(s, d):
+    """Rounds, supersteps and rows that moved of the label method, as it is and with each of its parts changed."""
+    g, rows = graph(s, d, "w4s"), []
+    for name, flags in {"as it is": {}, "ids by key": {"ids": "key"}, "ids ascending": {"ids": "borda_asc"}, "no pruning": {"prune": "none"}, "no initial status": {"init": False}, "four labels": {"labels": 4}}.items():
+        found = wn.find_winners(g, **_LITERAL, **flags)
+        steps = [x for r in found.log for x in r.get("steps", [])]
+        rows.append((name, found.rounds, found.supersteps, sum(x["active"] for x in steps), max([0, *(x["state_bytes"] for x in steps)]), found.winners.count()))
+    return s.createDataFrame(rows, "variant string, rounds int, supersteps int, active long, state_bytes long, winners long")
+
+
+def _head_to_head(s: SparkSession, d: str, alt: str) -> PrefGraph:
+    """Alternatives of one order, compared by the quantity in it; pairs of no common order stay without an edge."""
+    rows = load(s, d, "lineitem").groupBy(F.col("l_orderkey").alias("voter"), F.col(alt).alias("alt")).agg(F.sum(F.col("l_quantity").cast("long")).alias("score"))
     return mg.graph_of(store(bl.from_scores(rows, "voter", "alt", "score"), "ballots"), unlisted="ignore")
 
 
-query(
-    f"WITH sc AS (SELECT l_orderkey AS voter, l_suppkey AS alt, sum(CAST(l_quantity AS BIGINT)) AS score FROM lineitem GROUP BY 1, 2), {_RANKED}, n AS (SELECT DISTINCT alt FROM b), {_CO}, e AS (SELECT a, b, CAST(c AS BIGINT) AS w FROM c WHERE c > 0), {_closure()} {_WON}", "winners_headtohead_supplier",
-)(lambda s, d: (lambda g: _named(g, wn.find_winners(g).winners))(_head_to_head_suppliers(s, d)))
+def _head_to_head_sql(alt: str, edges: str) -> str:
+    return f"sc AS (SELECT l_orderkey AS voter, {alt} AS alt, sum(CAST(l_quantity AS BIGINT)) AS score FROM lineitem GROUP BY 1, 2), {_RANKED}, n AS (SELECT DISTINCT alt FROM b), {_CO}, {edges} AS (SELECT a, b, CAST(c AS BIGINT) AS w FROM c WHERE c > 0)"
+
+
+query(f"WITH {_head_to_head_sql('l_suppkey', 'e')}, {_closure()} {_WON}", "winners_headtohead_supplier")(lambda s, d: (lambda g: _named(g, wn.find_winners(g).winners))(_head_to_head(s, d, "l_suppkey")))
+query(None, "winners_headtohead_part")(lambda s, d: (lambda g: _named(g, wn.find_winners(g).winners))(_head_to_head(s, d, "l_partkey")))
 
 _IN_SCHWARTZ = "SELECT alt FROM n WHERE NOT EXISTS (SELECT 1 FROM p x WHERE x.b = alt AND NOT EXISTS (SELECT 1 FROM p y WHERE y.a = alt AND y.b = x.a))"
 query(_sql("w12b", "SELECT alt, least(alt, coalesce((SELECT min(x.b) FROM p x JOIN p y ON x.a = y.b AND x.b = y.a WHERE x.a = alt), alt)) AS scc FROM n", True), "strong_components")(
@@ -336,29 +396,58 @@ def verification(s, d):
 query(_sql("w12a", f"SELECT CAST(dense_rank() OVER (ORDER BY rnk) AS INT) AS tier, alt FROM ({_RANKING}) WHERE rnk <= 5", True), "topk_ranking")(lambda s, d: (lambda g: rule.top_k(g, 5, "ranking").join(g.vertices, "id").select("tier", "alt"))(graph(s, d, "w12a")))
 
 
-@query()
+_TIERS = f"{_closure(8, 'e', 'q1_', 'beat1')}, t1 AS MATERIALIZED (SELECT alt FROM n WHERE alt NOT IN (SELECT b FROM beat1))"
+for _t in (2, 3):
+    _gone = " UNION ALL ".join(f"SELECT alt FROM t{i}" for i in range(1, _t))
+    _TIERS += f", gone{_t} AS ({_gone}), e{_t} AS MATERIALIZED (SELECT a, b, w FROM e WHERE a NOT IN (SELECT alt FROM gone{_t}) AND b NOT IN (SELECT alt FROM gone{_t}))"
+    _TIERS += f", {_closure(8, f'e{_t}', f'q{_t}_', f'beat{_t}')}, t{_t} AS MATERIALIZED (SELECT alt FROM n WHERE alt NOT IN (SELECT alt FROM gone{_t}) AND alt NOT IN (SELECT b FROM beat{_t}) AND (SELECT count(*) FROM gone{_t}) < 3)"
+_ALL_TIERS = " UNION ALL ".join(f"SELECT CAST({i} AS INT) AS tier, alt FROM t{i}" for i in (1, 2, 3))
+
+
+@query(_sql("w12a", f", {_TIERS} {_ALL_TIERS}").replace("margin > 0) , ", "margin > 0), "))
 def topk_remove(s, d):
     g = graph(s, d, "w12a")
     return rule.top_k(g, 3).join(g.vertices, "id").select("tier", "alt")
 
 
+def _accepted_sql(rows: str, head: str) -> str:
+    """CTE kept(ord, a, b, kept): rows(ord, a, b), ord from 1, taken in order unless b reaches a; what a vertex reaches is a bit mask in a list."""
+    return (
+        f"WITH RECURSIVE {head}, src AS MATERIALIZED ({rows}), "
+        "ix AS MATERIALIZED (SELECT v, row_number() OVER (ORDER BY v) AS i FROM (SELECT a AS v FROM src UNION SELECT b FROM src)), "
+        "todo AS MATERIALIZED (SELECT ord, a, b, x.i AS ia, y.i AS ib FROM src JOIN ix x ON x.v = a JOIN ix y ON y.v = b), "
+        "st(ord, reach, kept) AS (SELECT CAST(0 AS BIGINT), (SELECT list(CAST(1 AS BIGINT) << CAST(i AS BIGINT) ORDER BY i) FROM ix), false UNION ALL "
+        "SELECT t.ord, CASE WHEN (st.reach[ib] >> ia) & 1 = 0 THEN list_transform(st.reach, lambda r: CASE WHEN (r >> ia) & 1 = 1 THEN r | st.reach[ib] ELSE r END) ELSE st.reach END, (st.reach[ib] >> ia) & 1 = 0 "
+        "FROM st JOIN todo t ON t.ord = st.ord + 1), kept AS MATERIALIZED (SELECT todo.ord, a, b, kept FROM todo JOIN st USING (ord)) "
+    )
+
+
+_PAIRS = "SELECT row_number() OVER (ORDER BY margin DESC, a, b) AS ord, a, b FROM m WHERE margin >= 0"
+_KEPT_PAIRS = _accepted_sql(_PAIRS, f"{WORKLOADS['w12a'][1]}, {_MARGINS}")
+_PAIR_RANKS = "SELECT alt, 1 + (SELECT count(*) FROM kept WHERE kept AND b = alt) AS rnk FROM n"
+
+
 def _key_order(b: DataFrame) -> DataFrame:
     return b.select("alt").distinct().select("alt", F.col("alt").alias("pos"))
 
 
-@query()
+@query(_KEPT_PAIRS + _PAIR_RANKS)
 def ranked_pairs_ranking(s, d):
     b = store(_nation_ballots(s, d), "ballots")
     return rankedpairs.ranked_pairs(mg.majority_margins(b), _key_order(b))
 
 
-@query()
+@query(_KEPT_PAIRS + "SELECT kept.a, kept.b, margin, kept FROM kept JOIN m ON m.a = kept.a AND m.b = kept.b WHERE kept")
 def ranked_pairs_kept(s, d):
     b = store(_nation_ballots(s, d), "ballots")
     return rankedpairs.kept_pairs(mg.majority_margins(b), _key_order(b)).filter("kept")
 
 
-@query()
+@query(
+    _accepted_sql(_PAIRS, f"{WORKLOADS['w12a'][1]}, {_MARGINS}, {_closure()}")
+    + f", one AS ({_RANKING}), two AS ({_PAIR_RANKS}), s AS (SELECT sign(x.rnk - y.rnk) * sign(p.rnk - q.rnk) AS s FROM one x JOIN one y ON x.alt < y.alt JOIN two p ON p.alt = x.alt JOIN two q ON q.alt = y.alt) "
+    "SELECT count(*) FILTER (s > 0) AS agree, count(*) FILTER (s < 0) AS disagree, count(*) FILTER (s = 0) AS tied FROM s"
+)
 def rule_agreement(s, d):
     b = store(_nation_ballots(s, d), "ballots")
     g = mg.graph_of(b)
@@ -372,12 +461,34 @@ def _key_digraph(s: SparkSession, d: str) -> DataFrame:
     return store(rows.filter("src <> dst").distinct(), "digraph")
 
 
+def _nation_digraph(s: SparkSession, d: str) -> DataFrame:
+    """(ord, src, dst): trade from supplier nations to customer nations, the largest quantity first."""
+    t = {n: load(s, d, n) for n in ("lineitem", "orders", "customer", "supplier")}
+    rows = t["lineitem"].join(t["orders"], F.col("l_orderkey") == F.col("o_orderkey")).join(t["customer"], F.col("o_custkey") == F.col("c_custkey")).join(t["supplier"], F.col("l_suppkey") == F.col("s_suppkey"))
+    sums = rows.filter("s_nationkey <> c_nationkey").groupBy(F.col("s_nationkey").cast("long").alias("src"), F.col("c_nationkey").cast("long").alias("dst")).agg(F.sum(F.col("l_quantity").cast("long")).alias("q"))
+    return number(sums, [F.desc("q"), F.col("src"), F.col("dst")], "ord").select("ord", "src", "dst")
+
+
+_TRADE = (
+    "SELECT row_number() OVER (ORDER BY q DESC, a, b) AS ord, a, b FROM (SELECT CAST(s_nationkey AS BIGINT) AS a, CAST(c_nationkey AS BIGINT) AS b, sum(CAST(l_quantity AS BIGINT)) AS q FROM lineitem "
+    "JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE s_nationkey <> c_nationkey GROUP BY 1, 2)"
+)
+
+
+@query(_accepted_sql(_TRADE, "z AS (SELECT 1)") + "SELECT ord, a AS src, b AS dst, kept FROM kept")
+def acyclic_subgraph_nations(s, d):
+    return rankedpairs.emas(_nation_digraph(s, d))
+
+
 @query()
 def acyclic_subgraph(s, d):
     return rankedpairs.emas(_key_digraph(s, d).select(F.xxhash64("src", "dst").alias("ord"), "src", "dst"))
 
 
-@query()
+@query(
+    "WITH RECURSIVE g AS (SELECT DISTINCT l_partkey AS a, l_suppkey AS b FROM lineitem WHERE l_partkey <> l_suppkey), r AS (SELECT CAST(0 AS BIGINT) AS v UNION SELECT b FROM g JOIN r ON a = v) "
+    "SELECT EXISTS (SELECT 1 FROM r WHERE v = 13) AS winner, EXISTS (SELECT 1 FROM r WHERE v = 13) AS reachable"
+)
 def reduction_reachability(s, d):
     rows = _key_digraph(s, d)
     ends = s.createDataFrame([(0,), (13,)], "id long")
@@ -388,7 +499,7 @@ def reduction_reachability(s, d):
     return s.createDataFrame([(rule.is_winner(g, 0)[0], reach)], "winner boolean, reachable boolean")
 
 
-@query()
+@query(_accepted_sql("SELECT ord, a, b FROM (VALUES (1, 1, 2), (2, 2, 3), (3, 3, 1), (4, 1, 4)) AS v(ord, a, b)", "z AS (SELECT 1)") + "SELECT CAST(ord AS BIGINT) AS f, NOT kept AS zero_wins FROM kept WHERE ord IN (2, 3)")
 def reduction_acyclic_subgraph(s, d):
     edges = s.createDataFrame([(1, 1, 2), (2, 2, 3), (3, 3, 1), (4, 1, 4)], "ord long, src long, dst long")
     return s.createDataFrame([(f, rankedpairs.is_winner(*reductions.emas_to_ranked_pairs(edges, f), 0)) for f in (2, 3)], "f long, zero_wins boolean")
@@ -411,9 +522,80 @@ def mallows_ballots(s, d):
     return synth.mallows(s, 6, 50, 0.7)
 
 
+@query()
+def winners_mallows(s, d):
+    g = mg.graph_of(store(synth.mallows(s, 200, 500, 0.98), "ballots"))
+    return _named(g, wn.find_winners(g).winners)
+
+
 @query()
 def winners_sparse_synthetic(s, d):
-    return wn.find_winners(synth.sparse_wmg(s, 150, 0.06)).winners
+    """10,000 vertices of low density."""
+    g = synth.sparse_wmg(s, 10_000, 0.002)
+    return wn.find_winners(PrefGraph(store(g.vertices, "vertices"), store(g.edges, "edges"))).winners
+
+
+# ---- the other operators on ballots, winners and results ----------------------------------------
+
+
+@query("WITH " + WORKLOADS["w4s"][1] + ", v AS (SELECT DISTINCT voter FROM b WHERE rank = 1 AND alt % 2 = 0) SELECT voter, alt, CAST(rank AS INT) AS rank, CAST(weight AS BIGINT) AS weight FROM b WHERE voter IN (SELECT voter FROM v) AND alt IN (SELECT s_suppkey FROM supplier WHERE s_acctbal > 0)")
+def ballots_restricted(s, d):
+    b = ballots_of("w4s")(s, d)
+    return bl.restrict(b, b.filter("rank = 1 and alt % 2 = 0"), load(s, d, "supplier").filter("s_acctbal > 0").select(F.col("s_suppkey").alias("alt")))
+
+
+@query("WITH " + WORKLOADS["w12d"][1] + " SELECT p || CAST(voter AS VARCHAR) AS voter, alt, CAST(rank AS INT) AS rank, CAST(1 AS BIGINT) AS weight FROM b, (VALUES ('1:'), ('2:')) AS x(p)")
+def ballots_union(s, d):
+    return bl.union(_event_ballots(s, d), _event_ballots(s, d))
+
+
+@query(_sql("w4s", f"SELECT s_suppkey, s_name, s_nationkey FROM supplier WHERE s_suppkey IN ({_WON})", True))
+def winners_described(s, d):
+    g = graph(s, d, "w4s")
+    return rule.describe(_named(g, wn.find_winners(g).winners), load(s, d, "supplier").select("s_suppkey", "s_name", "s_nationkey"), "s_suppkey")
+
+
+@query("SELECT CAST(user_id AS VARCHAR) AS voter, CAST(1 + coalesce(sum(TRY_CAST(json_extract_string(props, '$.k') AS BIGINT)), 0) AS BIGINT) AS weight FROM events GROUP BY 1")
+def weights_from_json(s, d):
+    return bl.weight_from_json(load(s, d, "events"))
+
+
+@query("WITH " + WORKLOADS["w3s"][1].replace("sc AS", "sc3 AS").replace("FROM sc)", "FROM sc3)").replace("b AS", "b3 AS") + ", " + WORKLOADS["w4s"][1] + " SELECT voter, alt, CAST(rank AS INT) AS rank, 'right' AS side FROM (SELECT voter, alt, rank FROM b EXCEPT ALL SELECT voter, alt, rank FROM b3)")
+def ballots_diff(s, d):
+    one, two = (ballots_of(w)(s, d).select("voter", "alt", "rank") for w in ("w3s", "w4s"))
+    return checks.diff(one, two)
+
+
+@query(_sql("w4s", f"SELECT count(*) AS edges, (SELECT count(*) FROM ({_WON})) AS winners, (SELECT count(*) FROM n) AS alternatives FROM e", True))
+def sql_views(s, d):
+    from .sql import register
+
+    register(s, graph(s, d, "w4s"))
+    return s.sql("SELECT (SELECT count(*) FROM wmg_edges) AS edges, (SELECT count(*) FROM wpr_winners) AS winners, (SELECT count(*) FROM wmg_vertices) AS alternatives")
+
+
+@query("SELECT lang AS voter, source AS alt, CAST(rank() OVER (PARTITION BY lang ORDER BY sum(n_chars) DESC) AS INT) AS rank FROM documents WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1) GROUP BY 1, 2")
+def ballots_documents_of_quality(s, d):
+    good = load(s, d, "documents").join(load(s, d, "labels").filter("quality = 1"), "doc_id", "left_semi")
+    return bl.from_scores(good.groupBy("lang", "source").agg(F.sum("n_chars").alias("n")), "lang", "source", "n").select("voter", "alt", "rank")
+
+
+@query("WITH " + WORKLOADS["w12d"][1] + " SELECT fmt, alt, CAST(rank AS INT) AS rank, count(*) AS n FROM b, (VALUES ('json'), ('orc'), ('parquet')) AS x(fmt) GROUP BY 1, 2, 3")
+def ballots_of_each_format(s, d):
+    out, b = None, _event_ballots(s, d)
+    for fmt in ("json", "orc", "parquet"):
+        path = f"{shared_folder(s)}/ballots-{uuid.uuid4().hex}"
+        b.write.format(fmt).save(path)
+        rows = read_ballots(s, path, fmt).groupBy("alt", "rank").agg(F.count(F.lit(1)).alias("n")).select(F.lit(fmt).alias("fmt"), "alt", "rank", "n")
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+@query(_sql("w12a", "SELECT 'init' AS kind, count(*) AS undecided FROM n LEFT JOIN (SELECT b, max(w) AS i FROM e GROUP BY 1) ON b = alt LEFT JOIN (SELECT a, max(w) AS o FROM e GROUP BY 1) ON a = alt WHERE coalesce(i, 0) <= coalesce(o, 0)"))
+def log_written_and_read(s, d):
+    path = f"{shared_folder(s)}/log-{uuid.uuid4().hex}"
+    write_log([{"kind": x["kind"], "undecided": x["undecided"]} for x in wn.find_winners(graph(s, d, "w12a")).log], s, path)
+    return s.read.schema("kind string, undecided long").json(path).filter("kind = 'init'")
 
 
 _DAILY = "sc AS (SELECT CAST(user_id AS VARCHAR) || '@' || CAST(date_trunc('day', ts) AS VARCHAR) AS voter, event_type AS alt, count(*) AS score FROM events GROUP BY 1, 2)"
