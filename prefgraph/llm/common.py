@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import re
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -17,9 +18,11 @@ _LIVE: dict[str, list[str]] = {}
 
 
 def scratch_path(spark: SparkSession, name: str, tracked: bool = True) -> str:
-    """A new path below ``spark.checkpoint.dir``; a folder of our own only where that is unset."""
+    """A new path below ``spark.checkpoint.dir``; where that is unset, a temporary folder in local mode and an error on a cluster."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not base:
+        if not re.match(r"local($|\[)", spark.sparkContext.master):
+            raise RuntimeError("spark.checkpoint.dir is not set: name a folder that the driver and all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="prefgraph-")
         spark.conf.set("spark.checkpoint.dir", base)
     path = f"{base.rstrip('/')}/scratch-{name}-{uuid.uuid4().hex}"

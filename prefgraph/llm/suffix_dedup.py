@@ -320,13 +320,13 @@ def _to_characters(raw: bytes, runs: list[tuple[int, int]]) -> list[tuple[int, i
     return out
 
 
-def report(docs: DataFrame, length: int = LENGTH) -> DataFrame:
+def report(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row of docs(doc_id, text).
 
     A null text is empty; texts below length bytes lose nothing. Rows that repeat a whole text of length bytes or more lose all of
     it. Null and repeated doc_ids stay rows; extra columns are ignored; an empty table gives no rows.
     """
-    spans = repeated_spans(docs, length)
+    spans = repeated_spans(docs, length, gram, hot)
     texts = docs.select(*text_key(F.col("text")), F.col("text").alias("text")).filter(F.octet_length("text") >= length).dropDuplicates(["t1", "t2"])
 
     def remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -348,9 +348,9 @@ def report(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     )
 
 
-def remove_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
+def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """docs with repeated spans cut from text, to whole characters, and n_chars (where there is one) counted anew; no row goes."""
-    spans = repeated_spans(docs, length).withColumnsRenamed({"t1": "_s1", "t2": "_s2", "spans": "_spans"})
+    spans = repeated_spans(docs, length, gram).withColumnsRenamed({"t1": "_s1", "t2": "_s2", "spans": "_spans"})
     names = docs.columns
     keyed = docs.select(*[F.col(f"`{c}`") for c in names], *(k.alias(f"_k{i}") for i, k in enumerate(text_key(F.col("text")))))
     met = keyed.join(spans, (F.col("_k0") == F.col("_s1")) & (F.col("_k1") == F.col("_s2")), "left").select(*[F.col(f"`{c}`") for c in names], "_spans")
