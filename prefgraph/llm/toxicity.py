@@ -21,7 +21,8 @@ from .learn import fold, labelled_sample, minimize, sigmoid
 LENGTHS = (3, 4, 5)
 BITS = 18
 DIMS = 1 << BITS
-TRAIN_ROWS = 3000  # the bound of the labelled sample
+TRAIN_ROWS = 4000  # the bound of the labelled sample, and
+TRAIN_BYTES = 16 << 20  # of its texts
 BLOCK = 1 << 19
 CHUNK = 1 << 20  # features that a step of training takes at once
 _LOW = np.arange(256, dtype=np.uint8)
@@ -129,7 +130,7 @@ def fit(sample: DataFrame, counts: dict[int, int], smoothing: float = 1.0, penal
 
 def train(docs: DataFrame, labels: DataFrame, folds: int = 5, held: int = 0, rows: int = TRAIN_ROWS) -> Model:
     """A model of labels.toxic from labels whose fold is not held; only texts and labels are inputs."""
-    return fit(*labelled_sample(docs, labels, "toxic", lambda d: fold(d, folds) != held, rows))
+    return fit(*labelled_sample(docs, labels, "toxic", lambda d: fold(d, folds) != held, rows, TRAIN_BYTES))
 
 
 def with_score(docs: DataFrame, model: Model, column: str = "score") -> DataFrame:
