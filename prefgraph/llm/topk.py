@@ -2,7 +2,8 @@
 
 The table holds, for every vector, its distances to many pivots. By the triangle inequality, the largest difference of two vectors'
 distances to a pivot bounds their distance from below, so (|q|^2 + |x|^2 - bound^2) / 2 bounds their inner product from above.
-A query takes the candidates of a block in the order of that bound and stops when its k-th best score is above what is left.
+A query takes the candidates of a block in the order of that bound and stops when its k-th best score is above what is left; the k-th best
+score among a bounded sample of rows is a floor that all blocks start from.
 Queries and candidates are cut in blocks; each pair of blocks is one bounded group.
 Vectors with components beyond LIMIT have no bound: every one of their products is computed, in whole numbers.
 """
@@ -44,12 +45,18 @@ def quantize(vectors: DataFrame) -> DataFrame:
     return vectors.filter(finite & (F.size("embedding") > 0)).select(F.col("vec_id").cast("long").alias("vec_id"), c.alias("c"), f.alias("f")).filter("vec_id is not null")
 
 
-def choose_pivots(vectors: DataFrame, pivots: int = PIVOTS, sample: int = PIVOT_SAMPLE) -> dict[int, np.ndarray]:
-    """By dimension, vectors of a bounded sample (first by a hash of the id) that lie far from each other."""
+def sample_rows(vectors: DataFrame, sample: int = PIVOT_SAMPLE) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+    """By dimension, (vec_ids, vectors) of a bounded sample: the first by a hash of the id."""
     rows = vectors.filter("c is not null").orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).collect()
+    dims = sorted({len(r.c) for r in rows})
+    return {d: (np.array([r.vec_id for r in rows if len(r.c) == d]), np.array([r.c for r in rows if len(r.c) == d], np.float64)) for d in dims}
+
+
+def choose_pivots(sample: dict[int, tuple[np.ndarray, np.ndarray]], pivots: int = PIVOTS) -> dict[int, np.ndarray]:
+    """By dimension, vectors of the sample that lie far from each other."""
     out = {}
-    for dim in sorted({len(r.c) for r in rows}):
-        x = np.unique(np.array([r.c for r in rows if len(r.c) == dim], np.float64), axis=0)
+    for dim, (_, x) in sample.items():
+        x = np.unique(x, axis=0)
         chosen = [int(np.argmax((x * x).sum(axis=1)))]
         near = ((x - x[chosen[0]]) ** 2).sum(axis=1)
         while len(chosen) < min(pivots, len(x)) and near.max() > 0:
@@ -77,9 +84,29 @@ def pivot_table(vectors: DataFrame, pivots: dict[int, np.ndarray]) -> DataFrame:
     return vectors.mapInArrow(measure, "vec_id long, c array<int>, f array<double>, d array<double>")
 
 
-def search_block(qid: np.ndarray, q: np.ndarray, qd: np.ndarray, xid: np.ndarray, x: np.ndarray, xd: np.ndarray, k: int) -> tuple[list[tuple[int, int, int]], int]:
+def with_floor(queries: DataFrame, sample: dict[int, tuple[np.ndarray, np.ndarray]], k: int) -> DataFrame:
+    """queries with floor: the k-th best score of a query among the sample's rows, which no row among its k best is below in any block."""
+
+    def floors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = np.full(batch.num_rows, -np.inf)
+            rows, ids = batch.column("c").to_pylist(), batch.column("qid").to_numpy()
+            for dim in {len(r) for r in rows if r is not None} & set(sample):
+                at = np.array([i for i, r in enumerate(rows) if r is not None and len(r) == dim])
+                xid, x = sample[dim]
+                scores = np.array([rows[i] for i in at], np.float64) @ x.T
+                scores[ids[at][:, None] == xid[None, :]] = -np.inf
+                if len(xid) >= k:
+                    out[at] = np.partition(scores, len(xid) - k, axis=1)[:, len(xid) - k]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out)], [*batch.schema.names, "floor"])
+
+    return queries.mapInArrow(floors, "qid long, c array<int>, f array<double>, d array<double>, floor double")
+
+
+def search_block(qid: np.ndarray, q: np.ndarray, qd: np.ndarray, xid: np.ndarray, x: np.ndarray, xd: np.ndarray, k: int, floor: np.ndarray | None = None) -> tuple[list[tuple[int, int, int]], int]:
     """The k best (query, row, score) of each query in a block of rows of the same dimension, and the number of scores computed.
 
+    floor: a score for each query that its k best of all blocks reach; rows bounded below it are not computed.
     All numbers are whole and below 2^53, so float64 products are exact; the bounds get a margin above their rounding errors.
     """
     by = np.argsort(xid, kind="stable")
@@ -94,11 +121,12 @@ def search_block(qid: np.ndarray, q: np.ndarray, qd: np.ndarray, xid: np.ndarray
         bound = (qn[i] + xn - gap * gap) / 2
         bound += 1e-9 * (qn[i] + xn) + 1e-3
         bound[xid == qid[i]] = -np.inf
+        least = -np.inf if floor is None else floor[i]
         best: list[tuple[float, int]] = []
         order, at, step = np.argsort(-bound, kind="stable"), 0, 32
-        while at < len(order) and bound[order[at]] > -np.inf and (len(best) < k or bound[order[at]] >= -best[k - 1][0]):
+        while at < len(order) and bound[order[at]] > -np.inf and bound[order[at]] >= (least if len(best) < k else max(least, -best[k - 1][0])):
             chunk = order[at : at + step]
-            chunk = chunk[bound[chunk] > -np.inf]
+            chunk = chunk[(bound[chunk] > -np.inf) & (bound[chunk] >= least)]
             scores = x[chunk] @ q[i]
             done += len(chunk)
             best = sorted([*best, *zip((-scores).tolist(), xid[chunk].tolist(), strict=True)])[:k]
@@ -134,9 +162,11 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 5) -> DataFrame:
     results that is no long is an error.
     """
     fine = quantize(vectors)
-    table = pivot_table(fine, choose_pivots(fine))
+    sample = sample_rows(fine)
+    table = pivot_table(fine, choose_pivots(sample))
     place = F.coalesce(F.transform("c", lambda x: x.cast("double") / SCALE), "f").alias("e")
     asked = table.filter(is_query).groupBy("vec_id").agg(F.min(F.struct(place, "c", "f", "d")).alias("m")).select(F.col("vec_id").alias("qid"), "m.c", "m.f", "m.d")
+    asked = with_floor(asked, sample, k)
     row_blocks = partitions_for(fine.count(), ROW_BLOCK)
     query_blocks = partitions_for(fine.filter(is_query).count(), QUERY_BLOCK)
     rows = table.withColumn("rb", (F.monotonically_increasing_id() % row_blocks).cast("int")).withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1))))
@@ -150,7 +180,7 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 5) -> DataFrame:
             near_a, near_b = a[a.c.notna()], b[b.c.notna()]
             if len(near_a) and len(near_b):
                 stack = lambda s: np.stack(s.to_numpy()).astype(np.float64).reshape(len(s), -1)
-                found += search_block(near_a.qid.to_numpy(), stack(near_a.c), stack(near_a.d), near_b.vec_id.to_numpy(), stack(near_b.c), stack(near_b.d), k)[0]
+                found += search_block(near_a.qid.to_numpy(), stack(near_a.c), stack(near_a.d), near_b.vec_id.to_numpy(), stack(near_b.c), stack(near_b.d), k, near_a.floor.to_numpy())[0]
             for one, two in ((near_a, b[b.c.isna()]), (a[a.c.isna()], b)):
                 if len(one) and len(two):
                     found += search_whole(one.qid.to_numpy(), whole(one), two.vec_id.to_numpy(), whole(two), k)
