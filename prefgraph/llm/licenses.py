@@ -39,11 +39,11 @@ _BSD_TAIL = (
 )
 #: Public licence texts and notices, without their copyright lines.
 KNOWN = {
-    "MIT": "MIT License\n\nPermission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the "
+    "MIT": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the "
     "Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons "
     "to whom the Software is furnished to do so, subject to the following conditions:\n\nThe above copyright notice and this permission notice shall be included in all copies or substantial "
     "portions of the Software.\n\n" + _WARRANTY,
-    "ISC": "ISC License\n\nPermission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this "
+    "ISC": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this "
     "permission notice appear in all copies.\n\n" + _ISC_WARRANTY,
     "0BSD": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted.\n\n" + _ISC_WARRANTY,
     "BSD-2-Clause": _BSD_HEAD + _BSD_TWO + _BSD_TAIL,
@@ -58,6 +58,29 @@ KNOWN = {
     "SPDX MIT": "SPDX-License-Identifier: MIT",
     "SPDX Apache-2.0": "SPDX-License-Identifier: Apache-2.0",
 }
+#: Titles that may stand before a text.
+TITLES = {
+    "MIT": ["MIT License", "The MIT License", "The MIT License (MIT)"],
+    "ISC": ["ISC License", "The ISC License", "ISC License (ISC)"],
+    "0BSD": ["BSD Zero Clause License", "Zero-Clause BSD", "BSD Zero Clause License (0BSD)"],
+    "BSD-2-Clause": ["BSD 2-Clause License", 'BSD 2-Clause "Simplified" License', "The BSD 2-Clause License", "Simplified BSD License"],
+    "BSD-3-Clause": ["BSD 3-Clause License", 'BSD 3-Clause "New" or "Revised" License', "The BSD 3-Clause License", "New BSD License"],
+}
+#: Canonical digests of whole long texts as their publishers give them, made by known_digests of the texts (read_texts).
+DIGESTS = {
+    "Apache-2.0": "84ed161685d232dab5187a7a7101279668d583e8fcead2d41433e4fd4a1dbe68",
+    "CC0-1.0": "96bdc7f63190fb4bd1ae584b890300ed7517d858b34c945642a3b9b2f1612a5f",
+    "GFDL-1.2": "58b6ebdf2bd26f81dd551d8efda909bfbc8914ce77996a5c289c28616b91ceeb",
+    "GFDL-1.3": "c4f8ea2b5247ab1ff721ce8255137250d4c14f50a0fb68c00fd793f496ced65e",
+    "GPL-1.0": "ec8a6b7d70e9f225b63d3962ed5b4721373f5535d7b967a06722b0d621f6892a",
+    "GPL-2.0": "331b500eb3c5ee796906547305df82fff4a35b3aa03c1d3ea84d32078292b2e6",
+    "GPL-3.0": "3c39b58d51baf32b2a21a55c429305f51cfd82e53cad05134293933580b4cd84",
+    "LGPL-2.0": "61af4dcea4e412e8ccfb8877fd2762bd6d962f8d42a9fa2c06cf7b4613f2c908",
+    "LGPL-2.1": "4d55922bdeafabde164d75448bbfb0b474bf952bbb541325364010900acd9891",
+    "LGPL-3.0": "aae2b222477171fb64e298e7965e768a9a6f85320646b266c94399ac029d42be",
+    "MPL-1.1": "f77c59051c0127d677dcce7ba0d4733294974749a7b4155250912498d92767d6",
+    "MPL-2.0": "9e79a7d513376f6fa1500e4df4f6276c6e7e61c5c3e28dcdb1acee24033acc56",
+}
 #: Fixed values: (pattern, replacement) for equivalent spellings, in lower case. Applied to both sides alike.
 SPELLINGS = [
     ("licence", "license"), ("sub license", "sublicense"), ("sub-license", "sublicense"), ("noncommercial", "non-commercial"), ("acknowledgement", "acknowledgment"), ("fulfil ", "fulfill "),
@@ -65,7 +88,7 @@ SPELLINGS = [
 ]
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: A line that claims copyright: the word or sign at its start, after comment marks, and a year, a holder or the sign; or all rights reserved.
-_CLAIMS = "^[ \\t#*/;%-]*(?:(?:copyright|\\(c\\)|\u00a9) (?:\\(c\\)|\u00a9|[0-9]{4}|by )[^\\n]*|\\(c\\) [^\\n]*|all rights reserved\\.?[ \\t]*)$"
+_CLAIMS = "^[ \\t#*/;%-]*(?:(?:copyright|\\(c\\)|\u00a9) (?:\\(c\\)|\u00a9|[0-9]{4}|by )[^\\n]*|copyright: [^\\n]*|copyright the [^\\n]*(?:authors|contributors|developers|project|foundation|team)\\.?[ \\t]*|\\(c\\) [^\\n]*|all rights reserved\\.?[ \\t]*)$"
 _MARKS = "[\\x00-\\x2F\\x3A-\\x40\\x5B-\\x60\\x7B-\\x7F\u2018\u2019\u201c\u201d\u2013\u2014]+"
 _IZE = "(organ|author|recogn|util|minim|maxim|initial|custom|emphas)is(e|ed|es|ing|ation|ations)\\b"
 
@@ -80,13 +103,30 @@ def canonical(text: Column) -> Column:
     return F.trim(F.regexp_replace(out, F.lit(_MARKS), F.lit(" ")))
 
 
-def known_digests(spark: SparkSession, licenses: dict[str, str] | None = None) -> DataFrame:
-    """license_id, digest for each licence; of licences with one canonical text the first name stays."""
-    rows = spark.createDataFrame(list((licenses or KNOWN).items()), "license_id string, text string")
-    return rows.select("license_id", F.sha2(canonical(F.col("text")).cast("binary"), 256).alias("digest")).groupBy("digest").agg(F.min("license_id").alias("license_id"))
+def catalogue(licenses: dict[str, str] | None = None) -> list[tuple[str, str]]:
+    """(license_id, text) of each licence, with each of the titles known for it and without."""
+    texts = KNOWN if licenses is None else licenses
+    return [(name, (title + "\n\n" if title else "") + text) for name, text in texts.items() for title in ["", *(TITLES.get(name, []) if licenses is None else [])]]
+
+
+def read_texts(spark: SparkSession, path: str) -> DataFrame:
+    """(license_id, text) of a folder of licence texts, a file each, named by the file."""
+    return spark.read.text(path, wholetext=True).select(F.regexp_extract(F.input_file_name(), r"([^/]+?)(?:\.txt)?$", 1).alias("license_id"), F.col("value").alias("text"))
+
+
+def known_digests(spark: SparkSession, licenses: dict[str, str] | DataFrame | None = None) -> DataFrame:
+    """license_id, digest for each licence: of licences with one canonical text the first name stays.
+
+    licenses: texts by name, or a table (license_id, text) as read_texts gives; by default the texts and digests known here.
+    """
+    rows = licenses if isinstance(licenses, DataFrame) else spark.createDataFrame(catalogue(licenses), "license_id string, text string")
+    found = rows.select("license_id", F.sha2(canonical(F.col("text")).cast("binary"), 256).alias("digest"))
+    if licenses is None and DIGESTS:
+        found = found.unionByName(spark.createDataFrame(list(DIGESTS.items()), "license_id string, digest string"))
+    return found.groupBy("digest").agg(F.min("license_id").alias("license_id"))
 
 
-def scan_documents(docs: DataFrame, licenses: dict[str, str] | None = None) -> DataFrame:
+def scan_documents(docs: DataFrame, licenses: dict[str, str] | DataFrame | None = None) -> DataFrame:
     """doc_id, canon_bytes, canon_sha256, license_id (null if unknown), is_license for every row of docs(doc_id, text).
 
     A null or empty text has the empty canonical text and is no licence. Null or repeated doc_ids stay rows; extra columns are
@@ -99,7 +139,7 @@ def scan_documents(docs: DataFrame, licenses: dict[str, str] | None = None) -> D
     return keyed.join(F.broadcast(known), "canon_sha256", "left").select("doc_id", "canon_bytes", "canon_sha256", "license_id", F.col("license_id").isNotNull().alias("is_license"))
 
 
-def remove_licenses(docs: DataFrame, licenses: dict[str, str] | None = None) -> DataFrame:
+def remove_licenses(docs: DataFrame, licenses: dict[str, str] | DataFrame | None = None) -> DataFrame:
     """docs without the rows whose entire text is a known licence."""
     known = known_digests(docs.sparkSession, licenses).select("digest")
     return docs.join(F.broadcast(known), F.sha2(canonical(F.col("text")).cast("binary"), 256) == F.col("digest"), "left_anti")
@@ -115,10 +155,11 @@ def oracle_sql() -> str:
         x = f"regexp_replace({x}, {quote(_IZE)}, '\\1iz\\2', 'g')"
         return f"trim(regexp_replace({x}, {quote(_MARKS)}, ' ', 'g'), ' ')"
 
-    known = ", ".join(f"({quote(k)}, {quote(v)})" for k, v in KNOWN.items())
+    known = ", ".join(f"({quote(k)}, {quote(v)})" for k, v in catalogue())
+    digests = ", ".join(f"({quote(k)}, {quote(v)})" for k, v in DIGESTS.items())
     return f"""
 WITH d AS (SELECT doc_id, {canon('text')} AS c FROM documents),
-k AS (SELECT sha256({canon('t')}) AS canon_sha256, min(id) AS license_id FROM (VALUES {known}) AS v(id, t) GROUP BY 1),
+k AS (SELECT canon_sha256, min(id) AS license_id FROM (SELECT id, sha256({canon('t')}) AS canon_sha256 FROM (VALUES {known}) AS v(id, t) UNION ALL SELECT * FROM (VALUES {digests}) AS x(id, h)) GROUP BY 1),
 e AS (SELECT doc_id, CAST(strlen(c) AS BIGINT) AS canon_bytes, sha256(c) AS canon_sha256 FROM d)
 SELECT doc_id, canon_bytes, canon_sha256, license_id, license_id IS NOT NULL AS is_license FROM e LEFT JOIN k USING (canon_sha256)
 """
