@@ -17,6 +17,7 @@ WINDOW = 10
 _NONE = "CAST(array() AS array<struct<at:int,len:int>>)"
 MAX_SET = 200_000  # windows in the plan; beyond it, windows of documents are joined by shuffle
 _BREAKS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+_GAPS = r"\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F"  # _BREAKS for texts whose letters are not in lower case yet
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -89,10 +90,17 @@ def remove_documents(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW
 
 
 def remove_spans(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """docs with text cut to its normalised words outside hits, joined by spaces, where there are hits; other texts stay as they are."""
+    """docs with the words of hits cut from text, each with what stands between it and the next word; all else of a text stays as it is.
+
+    Raw words and the marks between them alternate, so a text is put together again from those that stay.
+    """
     found = with_hits(docs, benchmark, window)
-    left = _once("array_join(filter(transform(w, (x, i) -> CASE WHEN exists(hits, h -> i + 1 >= h.at AND i + 1 < h.at + h.len) THEN null ELSE x END), x -> x IS NOT NULL), ' ')")
-    return found.withColumn("text", F.when(F.size("hits") > 0, left).otherwise(F.col("text"))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    raw, gaps = F.regexp_extract_all(F.col("text"), F.lit(f"([^{_GAPS}]+)"), F.lit(1)), F.split("text", f"[^{_GAPS}]+", -1)
+    inside = "exists(hits, h -> i + 1 >= h.at AND i + 1 < h.at + h.len)"
+    left = F.expr(f"element_at(transform(array(_cut), c -> concat(element_at(c.gaps, 1), array_join(transform(c.raw, (x, i) -> CASE WHEN {inside} THEN '' ELSE concat(x, element_at(c.gaps, i + 2)) END), ''))), 1)")
+    rows = found.withColumn("_cut", F.when(F.size("hits") > 0, F.struct(raw.alias("raw"), gaps.alias("gaps"))))
+    kept = [F.col(f"`{c}`") if c != "text" else F.when(F.size("hits") > 0, left).otherwise(F.col("text")).alias("text") for c in docs.columns]
+    return rows.select(*kept)
 
 
 def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_set: int = MAX_SET) -> DataFrame:
