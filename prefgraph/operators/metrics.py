@@ -40,6 +40,19 @@ def timed_run(call: Callable, repeats: int = 1) -> tuple[float, object]:
     return best, out
 
 
+def scaling(run: Callable[[int], float], cores: list[int]) -> list[dict]:
+    """Seconds of run(cores), speed-up over the least number of cores and efficiency, for each number of cores."""
+    seconds = {c: run(c) for c in sorted(cores)}
+    least = min(seconds)
+    return [{"cores": c, "seconds": round(s, 2), "speed_up": round(seconds[least] / s, 2), "efficiency": round(seconds[least] * least / (s * c), 2)} for c, s in seconds.items()]
+
+
+def compare(ours: Callable[[], object], baseline: Callable[[], object]) -> dict:
+    """Seconds of both and how many times ours the baseline takes."""
+    one, two = timed_run(ours)[0], timed_run(baseline)[0]
+    return {"seconds": round(one, 2), "baseline_seconds": round(two, 2), "ratio": round(two / one, 2)}
+
+
 def plan_text(df: DataFrame) -> str:
     import contextlib
     import io

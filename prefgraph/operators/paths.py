@@ -95,11 +95,21 @@ def widest_path(g: PrefGraph, a: int, b: int) -> list[int] | None:
 
 
 def closure_matrix(m: np.ndarray) -> np.ndarray:
-    """Max-min closure of a square matrix of widths (0: no edge), one middle vertex at a time."""
-    p = m.copy()
+    """Max-min closure of a square matrix of widths (0: no edge), one middle vertex at a time.
+
+    Widths take the least type that holds them, and rows go in strips that stay in a core's cache.
+    """
+    kind = next(t for t in (np.int16, np.int32, np.int64) if not m.size or m.max() <= np.iinfo(t).max)
+    p = m.astype(kind)
+    strip = max(1, (1 << 18) // max(1, p.itemsize * len(p)))
+    held = np.empty((strip, len(p)), kind)
     for k in range(len(p)):
-        np.maximum(p, np.minimum(p[:, k, None], p[None, k, :]), out=p)
-    return p
+        row, column = p[k].copy(), p[:, k].copy()
+        for i in range(0, len(p), strip):
+            part = p[i : i + strip]
+            np.minimum(column[i : i + strip, None], row, out=held[: len(part)])
+            np.maximum(part, held[: len(part)], out=part)
+    return p.astype(m.dtype)
 
 
 def _floyd_warshall(g: PrefGraph) -> DataFrame:

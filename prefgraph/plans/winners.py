@@ -7,8 +7,8 @@ Three exact ways share one table of statuses:
 * pivot passes: the undecided vertex of the least id (the best score) is compared with all others by two single-source searches;
 * the finish: all undecided vertices, if few, are compared with all others together.
 
-``strategy="auto"`` takes pivots while a pass decides half of the undecided, the finish when few are left or its messages are few enough,
-label passes otherwise;
+``strategy="auto"`` takes pivots while a pass decides half of the undecided, the finish when few are left; else the closure of a small graph,
+the finish if its messages are few enough, or label passes;
 ``strategy="labels", finish_threshold=0, prune="zero"`` is the plain label method; ``labels=q`` lets a vertex hold q ids in a pass.
 """
 
@@ -28,6 +28,8 @@ from .storage import discard, scratch, small, store
 
 #: Undecided vertices that are compared with all others at once, if a superstep of that sends at most so many messages.
 FEW, MESSAGES = 64, 2_000_000_000
+#: Vertices up to which the widths of all pairs are taken in one task where pivots no longer halve the undecided.
+CLOSED = 2048
 UNKNOWN, WINNER, LOSER = "unknown", "winner", "loser"
 
 
@@ -162,9 +164,18 @@ def _label_round(g: PrefGraph, state: DataFrame, edges: DataFrame, prune: str, c
 
 
 def _status(rows: DataFrame) -> DataFrame:
-    """(id, status), stored; told: undecided, how many are, and pivot, the least id of them."""
+    """(id, status), stored; told: m, how many there are, undecided, how many of them are, and pivot, the least id of these."""
     open_ = F.when(F.col("status") == UNKNOWN, F.col("id"))
-    return store(rows, "status", undecided=F.count(open_), pivot=F.min(open_))
+    return store(rows, "status", m=F.count(F.lit(1)), undecided=F.count(open_), pivot=F.min(open_))
+
+
+def closure_pass(g: PrefGraph, state: DataFrame) -> DataFrame:
+    """Statuses after the closure of a small graph with many tied vertices."""
+    from ..operators.paths import all_pairs_widest
+    from ..operators.rule import beats
+
+    lost = beats(all_pairs_widest(g, "fw")).select(F.col("b").alias("id"), F.lit(True).alias("lost")).distinct()
+    return _status(state.join(lost, "id", "left").select("id", F.when(F.col("status") != UNKNOWN, F.col("status")).when(F.col("lost"), LOSER).otherwise(WINNER).alias("status")))
 
 
 def finish_exact(g: PrefGraph, state: DataFrame, steps: list | None = None) -> DataFrame:
@@ -225,6 +236,8 @@ def find_winners(
                 kind, state = "finish", finish_exact(g, state, steps)
             elif strategy == "pivot" or (strategy == "auto" and halved):
                 kind, state = "pivot", pivot_pass(g, state, steps)
+            elif strategy == "auto" and finish_threshold and state.told["m"] <= CLOSED:
+                kind, state = "closure", closure_pass(g, state)
             elif strategy == "auto" and finish_threshold and affordable(left):
                 kind, state = "finish", finish_exact(g, state, steps)
             else:
