@@ -39,10 +39,11 @@ def test_head_to_head_takes_every_order(spark, tmp_path):
     r = random.Random(5)
     orders = {o: {a: r.randint(1, 9) for a in r.sample(range(6), r.randint(1, 4))} for o in range(1, 45)}
     rows = [(o, a, float(q)) for o, x in orders.items() for a, q in x.items()]
-    spark.createDataFrame(rows, "l_orderkey long, l_suppkey long, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame(rows, "l_orderkey long, l_suppkey long, l_quantity double").selectExpr("*", "l_suppkey as l_partkey").write.parquet(f"{tmp_path}/lineitem.parquet")
     alts = {a for x in orders.values() for a in x}
-    got = {x.alt for x in QUERIES["winners_headtohead_supplier"](spark, str(tmp_path)).collect()}
-    assert got == undefeated(alts, margins_of(orders.values(), alts, unlisted_last=False))
+    for name in ("winners_headtohead_supplier", "winners_headtohead_part"):
+        got = {x.alt for x in QUERIES[name](spark, str(tmp_path)).collect()}
+        assert got == undefeated(alts, margins_of(orders.values(), alts, unlisted_last=False))
 
 
 def test_embeddings_take_every_vector(spark, tmp_path):
