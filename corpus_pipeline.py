@@ -19,9 +19,9 @@ from pyspark.sql import functions as F
 from prefgraph.llm import bpe, common, decontam, ngram_join, suffix_dedup, toxicity
 from prefgraph.llm.queries import tokenizer_path
 
-#: The least repeated span that the cut takes: a passage of over 50 words has 51 words and 50 breaks, and more bytes than this where its words
-#: have three letters on average. op3's own report keeps its 400 bytes.
-PASSAGE_BYTES, PASSAGE_GRAM = 200, 48
+#: The least repeated span that the cut takes: passages of over 50 words have it where a word and its space take five bytes on average. At 200, a short
+#: text that only repeats itself lost all of it. op3's own report keeps its 400 bytes.
+PASSAGE_BYTES, PASSAGE_GRAM = 250, 48
 
 _LEFT: list[str] = []
 
