@@ -5,16 +5,16 @@ their prefixes under any order of all shingles. Three orders are used: by a corp
 alone; and by frequency level, then a third hash. Frequent shingles come last in the first and third, so a passage that many documents
 share makes candidates of those only of which it is the greater part.
 
-1. Frequency levels: a sketch of a fixed number of counters over all documents (any fixed function of a shingle gives an order, so the
-   sketch's collisions cost nothing but selectivity).
+1. Frequency levels: a sketch over all documents, its counters bounded (any fixed function of a shingle gives an order, so the sketch's
+   collisions cost nothing but selectivity).
 2. Documents of equal sets are one class. Under the first order the prefixes are longer by EXTRA percent, so that two similar sets share not
    one shingle of them but a computable number. Shingles of few classes give pairs with counts; a pair stays if its count, and the
    shingles of many classes that both have, reach that number. Shingles of many classes join only those classes that have enough of
    them. What stays connects classes to candidate groups.
-3. Within a candidate group pairs are taken by shingle and must pass size and the prefixes of all three orders before their sets are
-   compared. Pairs already connected by verified links are not compared again: they cannot change a component.
-4. Groups too large for one task are searched in rounds: some pivots of a group against all its members, distributed; a pivot has then
-   met all its partners and leaves, and a group ends when its members left are one component.
+3. Within a candidate group pairs are taken by shingle (in groups of more than a few members by prefixes under the group's own order, the
+   shingles of fewest members first) and must pass size and the prefixes of all three orders before their sets are compared. Pairs
+   already connected by verified links are not compared again: they cannot change a component.
+4. Groups too large for one task are dealt into parts, and each pair of parts is a task of its own: any two members meet in one.
 """
 
 from __future__ import annotations
@@ -34,12 +34,14 @@ SHINGLE = 5
 PERCENT = 75
 BLOCK = 1 << 19
 BATCH_ROWS = 2500  # documents whose prefixes a map task combines at once
-SKETCH_BITS, SKETCH_CHUNK = 20, 1 << 14
+SKETCH_BITS, MOST_BITS, SKETCH_CHUNK = 20, 24, 1 << 14
+DOCS_A_SKETCH = 300_000  # documents from which the sketch has more counters
 DOCS_A_BUCKET = 4000
 EXTRA = 5  # percent of a set by which prefixes under the first order are longer when groups are sought
 FEW = 16  # classes of a shingle up to which its pairs are counted
-LARGE = 2_000_000  # shingles of a candidate group beyond which it is searched in rounds
-PIVOTS = 32
+LARGE = 2_000_000  # shingles that one task compares; a candidate group beyond them is dealt out by pairs of its parts
+TOGETHER = 24  # members of a group from which one meets all its partners at once
+ENTRIES = 1 << 22  # shingles of partners that it meets at once
 _U = np.uint64
 _LOW = np.arange(256, dtype=np.uint8)
 _LOW[65:91] += 32
@@ -113,12 +115,12 @@ class Orders:
     """The global orders of shingles and the prefixes under them."""
 
     def __init__(self, levels: np.ndarray, percent: int = PERCENT) -> None:
-        self.levels, self.percent = levels, percent
+        self.levels, self.percent, self.shift = levels, percent, _U(65 - len(levels).bit_length())
 
     def prefix(self, s: np.ndarray, order: int, extra: int = 0) -> np.ndarray:
         key = mix(s ^ _SEEDS[order])
         if order != 1:
-            key = (key >> _U(8)) | (self.levels[(s >> _U(64 - SKETCH_BITS)).astype(np.int64)].astype(_U) << _U(56))
+            key = (key >> _U(8)) | (self.levels[(s >> self.shift).astype(np.int64)].astype(_U) << _U(56))
         p = prefix_length(len(s), self.percent) + extra * len(s) // 100
         return s if p >= len(s) else np.sort(s[np.argpartition(key, p - 1)[:p]])
 
@@ -129,29 +131,42 @@ def _share(a: np.ndarray, b: np.ndarray) -> bool:
     return bool((b[np.minimum(np.searchsorted(b, a), len(b) - 1)] == a).any())
 
 
-def frequency_levels(docs: DataFrame) -> np.ndarray:
-    """The logarithms of a sketch of shingle counts over all documents: 2^SKETCH_BITS counters, a fixed size."""
+def sketch_bits(rows: int) -> int:
+    """Counters follow the documents, up to 2^MOST_BITS (16 MB of levels): with too many shingles to a counter, rare ones cannot be told from common ones."""
+    return min(MOST_BITS, max(SKETCH_BITS, SKETCH_BITS + (rows // DOCS_A_SKETCH).bit_length()))
+
+
+def frequency_levels(docs: DataFrame, bits: int = SKETCH_BITS) -> np.ndarray:
+    """The logarithms of a sketch of shingle counts over all documents: 2^bits counters, of which a task tells those above 0."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(1 << SKETCH_BITS, np.int64)
+        total = np.zeros(1 << bits, np.uint32)
         for batch in batches:
             for _, sets in _sets_of(batch.column("text")):
                 if sets and len(s := np.concatenate(sets)):
-                    total += np.bincount((s >> _U(64 - SKETCH_BITS)).astype(np.int64), minlength=1 << SKETCH_BITS)
-        if total.any():
-            parts = total.astype("<u4").reshape(-1, SKETCH_CHUNK)
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(parts), dtype=np.int32)), pa.array([p.tobytes() for p in parts], pa.binary())], ["chunk", "counts"])
+                    np.add.at(total, (s >> _U(64 - bits)).astype(np.int64), np.uint32(1))
+        chunk, data = [], []
+        for k, part in enumerate(total.reshape(-1, SKETCH_CHUNK)):
+            at = np.flatnonzero(part)
+            if len(at):
+                chunk.append(k)
+                data.append(at.astype("<u2").tobytes() + part[at].astype("<u4").tobytes())
+        if chunk:
+            yield pa.RecordBatch.from_arrays([pa.array(chunk, pa.int32()), pa.array(data, pa.binary())], ["chunk", "counts"])
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[int, np.ndarray] = {}
         for batch in batches:
-            for chunk, counts in zip(batch.column("chunk").to_pylist(), batch.column("counts").to_pylist(), strict=True):
-                sums[chunk] = sums.get(chunk, 0) + np.frombuffer(counts, "<u4").astype(np.int64)
+            for chunk, data in zip(batch.column("chunk").to_pylist(), batch.column("counts"), strict=True):
+                data = data.as_py()
+                n = len(data) // 6
+                total = sums.setdefault(chunk, np.zeros(SKETCH_CHUNK, np.int64))
+                total[np.frombuffer(data, "<u2", n)] += np.frombuffer(data, "<u4", n, 2 * n)
         level = {k: np.floor(np.log2(v + 1)).astype(np.uint8).tobytes() for k, v in sums.items()}
         yield pa.RecordBatch.from_arrays([pa.array(list(level), pa.int32()), pa.array(list(level.values()), pa.binary())], ["chunk", "levels"])
 
     parts = docs.select(F.col("text").alias("text")).mapInArrow(tidy(count), "chunk int, counts binary").repartition("chunk").mapInArrow(tidy(add), "chunk int, levels binary").collect()
-    levels = np.zeros(1 << SKETCH_BITS, np.uint8)
+    levels = np.zeros(1 << bits, np.uint8)
     for r in parts:
         levels[r.chunk * SKETCH_CHUNK : (r.chunk + 1) * SKETCH_CHUNK] = np.frombuffer(r.levels, np.uint8)
     return levels
@@ -322,7 +337,11 @@ class _Group:
         return 100 * min(a, b) >= self.percent * max(a, b) and all(_share(self.prefix(i, k), self.prefix(j, k)) for k in (0, 1, 2))
 
     def solve(self) -> list[int]:
-        """The component of each member: by shingle of the first order, each member in turn against those of other components."""
+        """The component of each member."""
+        return self._few() if len(self.sets) < TOGETHER else self._many()
+
+    def _few(self) -> list[int]:
+        """By shingle of the first order, each member in turn against those of other components."""
         k = len(self.sets)
         if k > 1:
             s = np.concatenate([self.prefix(i, 0) for i in range(k)])
@@ -343,6 +362,71 @@ class _Group:
                                 self.parent[self.find(j)] = self.find(i)
         return [self.find(i) for i in range(k)]
 
+    def _many(self) -> list[int]:
+        """The group's own order, by how many members have a shingle, gives the pairs: its prefixes hold what the fewest members share. A member meets
+        all its partners of other components at once; shingles whose members are one component are passed over."""
+        k = len(self.sets)
+        size = np.array([len(s) for s in self.sets], np.int64)
+        start = np.r_[0, np.cumsum(size)]
+        all_of, ids, times = np.unique(np.concatenate(self.sets), return_inverse=True, return_counts=True)
+        ids, owner = ids.astype(np.int32), np.repeat(np.arange(k, dtype=np.int32), size)
+        by = np.lexsort((ids, times.astype(np.int32)[ids], owner))
+        length = size + -(self.percent * size) // 100 + 1
+        at = by[np.arange(len(ids)) - np.repeat(start[:-1], size) < np.repeat(length, size)]
+        at = at[times[ids[at]] > 1]
+        of = owner[at]  # in ascending order
+        del by
+        around = np.argsort(ids[at], kind="stable")
+        met = ids[at][around]
+        cuts = np.flatnonzero(np.r_[True, met[1:] != met[:-1], True]) if len(met) else np.zeros(1, np.int64)
+        holders, width = of[around], np.diff(cuts)
+        lists = np.empty(len(at), np.int32)
+        lists[around] = np.repeat(np.arange(len(width), dtype=np.int32), width)
+        mine = np.searchsorted(of, np.arange(k + 1))
+        done = width < 2
+        root = np.arange(k)
+        rows: list[tuple[np.ndarray, np.ndarray]] = [(start, ids)]
+        mark = np.zeros(len(all_of), bool)
+        for i in range(k):
+            mine_open = lists[mine[i] : mine[i + 1]]
+            mine_open = mine_open[~done[mine_open]]
+            if not len(mine_open):
+                continue
+            w = width[mine_open]
+            them = holders[_places(cuts[mine_open], w)]
+            ends, theirs = np.r_[0, np.cumsum(w)[:-1]], root[them]
+            done[mine_open] = np.minimum.reduceat(theirs, ends) == np.maximum.reduceat(theirs, ends)
+            js = np.unique(them[(them > i) & (theirs != root[i])])
+            js = js[100 * np.minimum(size[js], size[i]) >= self.percent * np.maximum(size[js], size[i])]
+            if len(js) and len(rows) == 1:
+                for order in (0, 1, 2):
+                    held = [self.orders.prefix(s, order) for s in self.sets]
+                    rows.append((np.r_[0, np.cumsum([len(h) for h in held])], np.searchsorted(all_of, np.concatenate(held)).astype(np.int32)))
+            for part in np.split(js, np.flatnonzero(np.diff(np.cumsum(size[js]) // ENTRIES)) + 1) if len(js) else ():
+                for order in (1, 2, 3):
+                    part = part[_both(rows[order], i, part, mark) > 0] if len(part) else part
+                if not len(part):
+                    continue
+                both = _both(rows[0], i, part, mark)
+                part = part[100 * both >= self.percent * (size[i] + size[part] - both)]
+                if len(part):
+                    root[np.isin(root, root[part])] = root[i]
+        return root.tolist()
+
+
+def _places(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    return np.repeat(start - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum())
+
+
+def _both(rows: tuple[np.ndarray, np.ndarray], i: int, js: np.ndarray, mark: np.ndarray) -> np.ndarray:
+    """How many entries row i and each of the rows js, none of them empty, have in common. mark: all False, before and after."""
+    start, ids = rows
+    own, n = ids[start[i] : start[i + 1]], start[js + 1] - start[js]
+    mark[own] = True
+    both = np.add.reduceat(mark[ids[_places(start[js], n)]], np.r_[0, np.cumsum(n)[:-1]], dtype=np.int64)
+    mark[own] = False
+    return both
+
 
 def _verify(levels: np.ndarray, percent: int):
     orders = Orders(levels, percent)
@@ -361,45 +445,17 @@ def _verify(levels: np.ndarray, percent: int):
     return verify
 
 
-def _pivot_links(levels: np.ndarray, percent: int):
-    orders = Orders(levels, percent)
-
-    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            out: list[tuple[int, int]] = []
-            known: dict[tuple, list[np.ndarray]] = {}
-            sets = [s for _, part in _sets_of(batch.column("text")) for s in part]
-            for v, s, pivots in zip(batch.column("v").to_pylist(), sets, batch.column("pivots").to_pylist(), strict=True):
-                ids = tuple(p["v"] for p in pivots)
-                if ids not in known:
-                    known[ids] = [x for _, part in _sets_of(pa.array([p["text"] for p in pivots])) for x in part]
-                group = _Group([s, *known[ids]], orders)
-                out += [(v, p) for i, p in enumerate(ids, 1) if p != v and group.candidate(0, i) and linked(s, group.sets[i], percent)]
-            yield pa.RecordBatch.from_arrays([pa.array([a for a, _ in out], pa.int64()), pa.array([b for _, b in out], pa.int64())], ["a", "b"])
-
-    return meet
-
-
-def _rounds(members: DataFrame, levels: np.ndarray, percent: int, pivots: int = PIVOTS) -> DataFrame | None:
-    """Verified links (a, b) of the stored members(root, v, text) of large groups; None without members.
+def _block_links(members: DataFrame, levels: np.ndarray, percent: int) -> DataFrame | None:
+    """Verified links (a, b) of the stored members(root, v, text, parts) of large groups; None without members.
 
-    Enough of them for the components: a round's pivots meet all members left of their group, then leave.
+    A group is dealt into so many parts, and a task has two of them: any two members meet in one task at least, so the links give the components.
     """
-    spark, links, left = members.sparkSession, None, members.select("root", "v")
-    while not left.isEmpty():
-        chosen = materialize(left.groupBy("root", (F.col("v") % pivots).alias("slot")).agg(F.min("v").alias("v")), "pivots")
-        texts = members.join(chosen.select(F.col("v").alias("_v")), members.v == F.col("_v")).groupBy(F.col("root").alias("_r")).agg(F.collect_list(F.struct("v", "text")).alias("pivots"))
-        texts = materialize(texts, "pivot-texts")
-        asked = members.join(left.select(F.col("v").alias("_v")), F.col("v") == F.col("_v"), "left_semi").join(texts, F.col("root") == F.col("_r"))
-        found = materialize(asked.select("v", "text", "pivots").mapInArrow(tidy(_pivot_links(levels, percent)), "a long, b long"), "links")
-        links = found if links is None else materialize(links.unionByName(found), "links")
-        roots = components(links).select(F.col("node").alias("_n"), F.col("root").alias("c"))
-        rest = left.join(chosen.select(F.col("v").alias("_v")), F.col("v") == F.col("_v"), "left_anti")
-        placed = materialize(rest.join(roots, F.col("v") == F.col("_n"), "left").select("root", "v", F.coalesce("c", "v").alias("c")), "placed")
-        several = placed.groupBy("root").agg((F.min("c") != F.max("c")).alias("open")).filter("open").select(F.col("root").alias("_r"))
-        left = materialize(placed.join(several, F.col("root") == F.col("_r"), "left_semi").select("root", "v"), "left")
-        release(spark)
-    return links
+    if members.isEmpty():
+        return None
+    part = F.pmod(F.xxhash64("v"), F.col("parts"))
+    dealt = members.select("root", "v", "text", part.alias("x"), F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("y")).filter("x <> y")
+    dealt = dealt.select(F.xxhash64("root", F.least("x", "y"), F.greatest("x", "y")).alias("root"), "v", "text")
+    return materialize(dealt.repartition("root").sortWithinPartitions("root").mapInArrow(tidy(_verify(levels, percent)), "a long, b long").filter("a <> b").distinct(), "links")
 
 
 def similar_documents(docs: DataFrame, percent: int = PERCENT, large: int = LARGE) -> DataFrame:
@@ -410,8 +466,9 @@ def similar_documents(docs: DataFrame, percent: int = PERCENT, large: int = LARG
     ignored; an empty table gives no rows. Sets are compared by 64-bit hashes of their shingles.
     """
     spark = docs.sparkSession
-    levels = frequency_levels(docs)
-    buckets = max(16, partitions_for(docs.count(), DOCS_A_BUCKET))
+    count = docs.count()
+    levels = frequency_levels(docs, sketch_bits(count))
+    buckets = max(16, partitions_for(count, DOCS_A_BUCKET))
     found = describe(docs, levels, buckets, percent)
     release(spark)
     groups = _candidate_groups(found, percent)
@@ -423,12 +480,13 @@ def similar_documents(docs: DataFrame, percent: int = PERCENT, large: int = LARG
     wanted = classes.join(groups, classes.c1 == groups._n).select("root", "v", "t1", "t2", "n")
     sizes = wanted.groupBy("root").agg(F.sum("n").alias("size"), F.count(F.lit(1)).alias("members")).filter("members > 1")
     sizes = materialize(sizes.select(F.col("root").alias("_r"), "size"), "group-sizes")
-    wanted = materialize(wanted.join(sizes, F.col("root") == F.col("_r")).select("root", "v", F.col("t1").alias("w1"), F.col("t2").alias("w2"), (F.col("size") > large).alias("many")), "wanted")
+    parts = F.when(F.col("size") > large, F.greatest(F.lit(2), F.ceil(F.col("size") / max(1, large // 2)))).otherwise(1).cast("int")
+    wanted = materialize(wanted.join(sizes, F.col("root") == F.col("_r")).select("root", "v", F.col("t1").alias("w1"), F.col("t2").alias("w2"), parts.alias("parts")), "wanted")
     texts = docs.select(*text_key(F.col("text")), F.col("text").alias("text")).dropDuplicates(["t1", "t2"])
-    members = materialize(texts.join(wanted, (F.col("t1") == F.col("w1")) & (F.col("t2") == F.col("w2"))).select("root", "v", "text", "many"), "members")
+    members = materialize(texts.join(wanted, (F.col("t1") == F.col("w1")) & (F.col("t2") == F.col("w2"))).select("root", "v", "text", "parts"), "members")
     release(spark)
-    links = materialize(members.filter("not many").select("root", "v", "text").repartition("root").sortWithinPartitions("root").mapInArrow(tidy(_verify(levels, percent)), "a long, b long"), "links")
-    more = _rounds(members.filter("many").select("root", "v", "text"), levels, percent)
+    links = materialize(members.filter("parts = 1").select("root", "v", "text").repartition("root").sortWithinPartitions("root").mapInArrow(tidy(_verify(levels, percent)), "a long, b long"), "links")
+    more = _block_links(members.filter("parts > 1"), levels, percent)
     roots = links.select(F.col("a").alias("node"), F.col("b").alias("c")) if more is None else components(links.unionByName(more)).select("node", F.col("root").alias("c"))
     if more is not None:
         roots = roots.filter("node <> c").unionByName(roots.select(F.col("c").alias("node"), "c").distinct())

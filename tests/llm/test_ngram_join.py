@@ -68,3 +68,40 @@ def test_one_of_each_and_null_ids(spark):
 
 def test_empty(spark):
     assert ngram_join.similar_documents(spark.createDataFrame([], "doc_id long, text string, n long, root string")).collect() == []
+
+
+def test_large_groups_take_no_rounds(spark, monkeypatch):
+    """Members that have much in common and are not linked: each met some pivots a round, and round followed round until all had been pivots."""
+    r = random.Random(7)
+    common = [f"c{i}" for i in range(60)]
+    rows = [(i, " ".join(common[:40] + [f"w{r.randrange(10**9)}" for _ in range(24)])) for i in range(150)]
+    rows += [(200 + i, t + " end") for i, (_, t) in enumerate(rows[:5])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    steps, plain = [], ngram_join.materialize
+    monkeypatch.setattr(ngram_join, "materialize", lambda df, name: steps.append(name) or plain(df, name))
+    got = {x.doc_id: (x.n_shingles, x.component_id) for x in ngram_join.similar_documents(docs, large=2000).collect()}
+    assert got == brute(rows)
+    assert steps.count("links") <= 2
+
+
+def test_one_meets_all_as_pairs_do():
+    import numpy as np
+
+    r = np.random.default_rng(3)
+    orders = ngram_join.Orders(np.zeros(1 << 20, np.uint8))
+    for _ in range(10):
+        sets, pool = [], r.integers(0, 2**63, 300).astype(np.uint64)
+        for k in range(60):
+            base = sets[r.integers(k)] if k and r.random() < 0.5 else r.choice(pool, r.integers(2, 60))
+            sets.append(np.unique(np.r_[base[r.random(len(base)) < 0.95], r.integers(0, 2**63, r.integers(1, 9)).astype(np.uint64)]))
+        first = lambda label: [label.index(x) for x in label]
+        assert first(ngram_join._Group(sets, orders)._many()) == first(ngram_join._Group(sets, orders)._few())
+
+
+def test_a_sketch_of_more_counters(spark):
+    assert [ngram_join.sketch_bits(n) for n in (0, 299_999, 300_000, 3_000_000, 10**9)] == [20, 20, 21, 24, 24]
+    docs = spark.createDataFrame([(i, f"a b c d e f{i % 3}") for i in range(9)], "doc_id long, text string")
+    for bits in (20, 22):
+        levels = ngram_join.frequency_levels(docs, bits)
+        assert len(levels) == 1 << bits
+        assert sorted(levels[levels > 0].tolist()) == [2, 2, 2, 3]
