@@ -7,10 +7,12 @@ share makes candidates of those only of which it is the greater part.
 
 1. Frequency levels: a sketch over all documents, its counters bounded (any fixed function of a shingle gives an order, so the sketch's
    collisions cost nothing but selectivity).
-2. Documents of equal sets are one class. Under the first order the prefixes are longer by EXTRA percent, so that two similar sets share not
-   one shingle of them but a computable number. Shingles of few classes give pairs with counts; a pair stays if its count, and the
-   shingles of many classes that both have, reach that number. Shingles of many classes join only those classes that have enough of
-   them. What stays connects classes to candidate groups.
+2. Documents of equal sets are one class, and classes of about one size and of one least shingle (by another hash, without the most frequent ones)
+   are one kin: near copies mostly are, and a shingle that all of them have is one kin's, not one of many pairs. Under the first order
+   the prefixes are longer by EXTRA percent, so that two similar sets share not one shingle of them but a computable number. Shingles of few
+   kins give pairs with counts; a pair stays if its count, and the shingles of many kins that both have, reach that number for any
+   two of their classes. Shingles of many kins join only those kins that have enough of them. What stays connects kins to
+   candidate groups; a kin that is in none is one by itself.
 3. Within a candidate group pairs are taken by shingle (in groups of more than a few members by prefixes under the group's own order, the
    shingles of fewest members first) and must pass size and the prefixes of all three orders before their sets are compared. Pairs
    already connected by verified links are not compared again: they cannot change a component.
@@ -38,7 +40,9 @@ SKETCH_BITS, MOST_BITS, SKETCH_CHUNK = 20, 24, 1 << 14
 DOCS_A_SKETCH = 300_000  # documents from which the sketch has more counters
 DOCS_A_BUCKET = 4000
 EXTRA = 5  # percent of a set by which prefixes under the first order are longer when groups are sought
-FEW = 16  # classes of a shingle up to which its pairs are counted
+FEW = 16  # kins of a shingle up to which its pairs are counted
+ABOVE = 6  # levels by which a shingle is more frequent than most counters and no kin's least one
+SIZES = 12  # steps of a kin's sizes in a doubling
 LARGE = 2_000_000  # shingles that one task compares; a candidate group beyond them is dealt out by pairs of its parts
 TOGETHER = 24  # members of a group from which one meets all its partners at once
 ENTRIES = 1 << 22  # shingles of partners that it meets at once
@@ -116,14 +120,27 @@ class Orders:
 
     def __init__(self, levels: np.ndarray, percent: int = PERCENT) -> None:
         self.levels, self.percent, self.shift = levels, percent, _U(65 - len(levels).bit_length())
+        self.frequent = np.median(levels[levels > 0]) + ABOVE if levels.any() else 0
 
-    def prefix(self, s: np.ndarray, order: int, extra: int = 0) -> np.ndarray:
+    def level(self, s: np.ndarray) -> np.ndarray:
+        return self.levels[(s >> self.shift).astype(np.int64)]
+
+    def prefix(self, s: np.ndarray, order: int, extra: int = 0, level: np.ndarray | None = None) -> np.ndarray:
         key = mix(s ^ _SEEDS[order])
         if order != 1:
-            key = (key >> _U(8)) | (self.levels[(s >> self.shift).astype(np.int64)].astype(_U) << _U(56))
+            key = (key >> _U(8)) | ((self.level(s) if level is None else level).astype(_U) << _U(56))
         p = prefix_length(len(s), self.percent) + extra * len(s) // 100
         return s if p >= len(s) else np.sort(s[np.argpartition(key, p - 1)[:p]])
 
+    def kin(self, s: np.ndarray, level: np.ndarray, other: int) -> int:
+        """The kin of a set; other, where all its shingles are frequent."""
+        rare = s[level <= self.frequent]
+        if not len(rare):
+            return other
+        with np.errstate(over="ignore"):
+            least = (rare * _PLACE[2]).min() + _U(int(np.log2(len(s)) * SIZES)) * _PLACE[0]
+        return int(mix(np.array([least], _U))[0].view(np.int64))
+
 
 def _share(a: np.ndarray, b: np.ndarray) -> bool:
     if len(a) > len(b):
@@ -172,8 +189,8 @@ def frequency_levels(docs: DataFrame, bits: int = SKETCH_BITS) -> np.ndarray:
     return levels
 
 
-_FOUND = "kind int, doc_id long, t1 long, t2 long, n long, c1 long, c2 long, bucket int, data binary"
-_FIELDS = (("kind", pa.int32()), ("doc_id", pa.int64()), ("t1", pa.int64()), ("t2", pa.int64()), ("n", pa.int64()), ("c1", pa.int64()), ("c2", pa.int64()), ("bucket", pa.int32()), ("data", pa.binary()))
+_FOUND = "kind int, doc_id long, t1 long, t2 long, n long, c1 long, c2 long, kin long, bucket int, data binary"
+_FIELDS = (("kind", pa.int32()), ("doc_id", pa.int64()), ("t1", pa.int64()), ("t2", pa.int64()), ("n", pa.int64()), ("c1", pa.int64()), ("c2", pa.int64()), ("kin", pa.int64()), ("bucket", pa.int32()), ("data", pa.binary()))
 
 
 def _rows(**given: list | np.ndarray | pa.Array) -> pa.RecordBatch:
@@ -189,13 +206,13 @@ def _class_of(s: np.ndarray) -> tuple[int, int]:
 
 
 def describe(docs: DataFrame, levels: np.ndarray, buckets: int, percent: int) -> DataFrame:
-    """Rows of three kinds: 0, a document with the keys of its text and of its class; 1, first-order prefix shingles by bucket, each
-    with a class; 2, a shingle of many classes (t1, its node) with one of them (t2)."""
+    """Rows of three kinds: 0, a document with the keys of its text and of its class and its kin; 1, first-order prefix shingles by bucket, each
+    with a kin; 2, a shingle of many kins (t1, its node) with one of them (t2)."""
     orders = Orders(levels, percent)
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in (b.slice(i, BATCH_ROWS) for b in batches for i in range(0, b.num_rows, BATCH_ROWS)):
-            n, c1, c2, seen, shingles, owner = [], [], [], set(), [], []
+            n, c1, c2, kin, seen, shingles, owner = [], [], [], [], {}, [], []
             for _, sets in _sets_of(batch.column("text")):
                 for s in sets:
                     a, b = _class_of(s) if len(s) else (0, 0)
@@ -203,21 +220,25 @@ def describe(docs: DataFrame, levels: np.ndarray, buckets: int, percent: int) ->
                     c1.append(a)
                     c2.append(b)
                     if len(s) and (a, b) not in seen:
-                        seen.add((a, b))
-                        shingles.append(orders.prefix(s, 0, EXTRA))
-                        owner.append(np.full(len(shingles[-1]), a, np.int64))
-            yield _rows(kind=[0] * len(n), doc_id=batch.column("doc_id"), t1=batch.column("t1"), t2=batch.column("t2"), n=n, c1=c1, c2=c2)
+                        level = orders.level(s)
+                        seen[a, b] = orders.kin(s, level, a)
+                        shingles.append(orders.prefix(s, 0, EXTRA, level))
+                        owner.append(np.full(len(shingles[-1]), seen[a, b], np.int64))
+                    kin.append(seen[a, b] if len(s) else 0)
+            yield _rows(kind=[0] * len(n), doc_id=batch.column("doc_id"), t1=batch.column("t1"), t2=batch.column("t2"), n=n, c1=c1, c2=c2, kin=kin)
             if not shingles:
                 continue
             s, o = np.concatenate(shingles), np.concatenate(owner)
             bucket = (s % _U(buckets)).astype(np.int64)
             short = (s >> _U(32)).astype(np.uint32)
-            by = np.lexsort((short, bucket))
+            by = np.lexsort((o, bucket.astype(_U) << _U(32) | short))
             s, o, bucket, short = s[by], o[by], bucket[by], short[by]
+            once = np.r_[True, (o[1:] != o[:-1]) | (s[1:] != s[:-1])]
+            s, o, bucket, short = s[once], o[once], bucket[once], short[once]
             firsts = np.flatnonzero(np.r_[True, (short[1:] != short[:-1]) | (bucket[1:] != bucket[:-1])])
             times = np.diff(np.r_[firsts, len(short)])
             many = np.repeat(times > FEW, times)
-            if many.any():  # known as shared by many here: its classes are told at once, and one entry goes on
+            if many.any():  # known as shared by many here: its kins are told at once, and one entry goes on
                 yield _rows(kind=[2] * int(many.sum()), t1=_node(bucket[many], short[many]), t2=o[many])
                 stay = ~many
                 stay[firsts] = True
@@ -232,7 +253,7 @@ def describe(docs: DataFrame, levels: np.ndarray, buckets: int, percent: int) ->
 
 
 def _node(bucket: np.ndarray, short: np.ndarray) -> np.ndarray:
-    """A shingle as a node of the graph of classes."""
+    """A shingle as a node of the graph of kins."""
     with np.errstate(over="ignore"):
         return mix((bucket.astype(_U) << _U(32) | short.astype(_U)) ^ _PLACE[4]).view(np.int64)
 
@@ -241,8 +262,8 @@ _SHARED = (("a", pa.int64()), ("b", pa.int64()), ("n", pa.int64()))
 
 
 def _bucket_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From the entries of a bucket: pairs of classes (a < b) with the number n of shingles they share; for shingles of more than FEW
-    classes (node, class) with n = 0. Shingles meet by 32 bits of their hashes: collisions only add to counts."""
+    """From the entries of a bucket: pairs of kins (a < b) with the number n of shingles they share; for shingles of more than FEW
+    kins (node, kin) with n = 0. Shingles meet by 32 bits of their hashes: collisions only add to counts."""
     for table in group_batches(batches, "bucket", 1):
         for number in np.unique(table.column("bucket").to_numpy()):
             parts = table.filter(pa.compute.equal(table.column("bucket"), int(number))).column("data").to_pylist()
@@ -253,7 +274,7 @@ def _bucket_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
             del parts
             by = np.lexsort((o, s))
             s, o, told = s[by], o[by], told[by]
-            once = np.r_[True, (s[1:] != s[:-1]) | (o[1:] != o[:-1])]  # a class comes from several batches
+            once = np.r_[True, (s[1:] != s[:-1]) | (o[1:] != o[:-1])]  # a kin comes from several batches
             told = np.logical_or.reduceat(told, np.flatnonzero(once))
             s, o = s[once], o[once]
             firsts = np.flatnonzero(np.r_[True, s[1:] != s[:-1]])
@@ -284,29 +305,31 @@ def _shared(*columns: np.ndarray) -> pa.RecordBatch:
 
 
 def _candidate_groups(found: DataFrame, percent: int) -> DataFrame:
-    """_n (a class's c1) and root for classes that may have partners.
+    """_n (a kin) and root for kins that may have partners among others.
 
     Two linked sets share at least ``need`` shingles of their prefixes: the overlap that the threshold asks for, less all that can lie beyond
-    the prefix of the set whose prefix ends first in the order.
+    the prefix of the set whose prefix ends first in the order. For two kins it is the least over sizes from ``lo`` to ``hi``, and what any two of
+    their classes share is no more than what the kins do.
     """
     rows = found.filter("kind = 1").select("bucket", "data").repartition("bucket").sortWithinPartitions("bucket")
     shared = materialize(rows.mapInArrow(tidy(_bucket_pairs), "a long, b long, n long"), "shared")
     release(found.sparkSession)
     many = materialize(shared.filter("n = 0").select("a", "b").unionByName(found.filter("kind = 2").select(F.col("t1").alias("a"), F.col("t2").alias("b"))), "many")
     common = many.groupBy("b").agg(F.count(F.lit(1)).alias("many"))
-    sizes = found.filter("kind = 0 and n > 0").groupBy("c1").agg(F.min("n").alias("n"))
-    sizes = materialize(sizes.join(common, sizes.c1 == common.b, "left").select("c1", "n", F.coalesce("many", F.lit(0)).alias("many")), "sizes")
-    beyond = lambda n: F.greatest(F.lit(0), F.ceil(n * percent / 100) - 1 - F.floor(n * EXTRA / 100))
-    one, two = (sizes.select(F.col("c1").alias(f"_{x}"), F.col("n").alias(f"n{x}"), F.col("many").alias(f"m{x}")) for x in "ab")
+    sizes = found.filter("kind = 0 and n > 0").groupBy("kin").agg(F.min("n").alias("lo"), F.max("n").alias("hi"))
+    sizes = materialize(sizes.join(common, sizes.kin == common.b, "left").select("kin", "lo", "hi", F.coalesce("many", F.lit(0)).alias("many")), "sizes")
+    # of the sizes up to hi a smaller one may have one more, by rounding
+    beyond = lambda x: F.greatest(F.lit(0), F.ceil(F.col(f"hi{x}") * percent / 100) - 1 - F.floor(F.col(f"hi{x}") * EXTRA / 100) + (F.col(f"lo{x}") < F.col(f"hi{x}")).cast("int"))
+    one, two = (sizes.select(F.col("kin").alias(f"_{x}"), F.col("lo").alias(f"lo{x}"), F.col("hi").alias(f"hi{x}"), F.col("many").alias(f"m{x}")) for x in "ab")
     pairs = shared.filter("n > 0").groupBy("a", "b").agg(F.sum("n").alias("n"))
     met = pairs.join(one, F.col("a") == F.col("_a")).join(two, F.col("b") == F.col("_b"))
-    need = F.ceil((F.col("na") + F.col("nb")) * percent / (100 + percent)) - F.greatest(beyond(F.col("na")), beyond(F.col("nb")))
-    fits = F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent
+    need = F.ceil((F.col("loa") + F.col("lob")) * percent / (100 + percent)) - F.greatest(beyond("a"), beyond("b"))
+    fits = (F.col("hia") * 100 >= F.col("lob") * percent) & (F.col("hib") * 100 >= F.col("loa") * percent)
     kept = met.filter(fits & (F.col("n") + F.least("ma", "mb") >= need)).select("a", "b")
     # the least need of a set of n, over partners of all sizes; one less for each rounding
-    least = F.greatest(F.lit(1), F.floor(F.col("n") * (EXTRA / 100)) - 3)
-    able = materialize(sizes.filter(F.col("many") >= least).select("c1"), "able")
-    joined = many.join(able, many.b == able.c1, "left_semi").select("a", "b")
+    least = F.greatest(F.lit(1), F.floor(F.col("lo") * (EXTRA / 100)) - 3)
+    able = materialize(sizes.filter(F.col("many") >= least).select("kin"), "able")
+    joined = many.join(able, many.b == able.kin, "left_semi").select("a", "b")
     out = components(materialize(kept.unionByName(joined), "candidates"))
     discard(shared)
     return out.select(F.col("node").alias("_n"), "root")
@@ -472,12 +495,12 @@ def similar_documents(docs: DataFrame, percent: int = PERCENT, large: int = LARG
     found = describe(docs, levels, buckets, percent)
     release(spark)
     groups = _candidate_groups(found, percent)
-    meta = materialize(found.filter("kind = 0").select("doc_id", "t1", "t2", "n", "c1", "c2"), "described")
+    meta = materialize(found.filter("kind = 0").select("doc_id", "t1", "t2", "n", "c1", "c2", "kin"), "described")
     discard(found)
     release(spark)
-    classes = meta.filter("n > 0").groupBy("c1", "c2").agg(F.min("doc_id").alias("id"), F.first("t1").alias("t1"), F.first("t2").alias("t2"), F.first("n").alias("n"))
+    classes = meta.filter("n > 0").groupBy("c1", "c2").agg(F.min("doc_id").alias("id"), F.first("t1").alias("t1"), F.first("t2").alias("t2"), F.first("n").alias("n"), F.first("kin").alias("kin"))
     classes = materialize(classes.withColumn("v", F.monotonically_increasing_id()), "classes")
-    wanted = classes.join(groups, classes.c1 == groups._n).select("root", "v", "t1", "t2", "n")
+    wanted = classes.join(groups, classes.kin == groups._n, "left").select(F.coalesce("root", "kin").alias("root"), "v", "t1", "t2", "n")
     sizes = wanted.groupBy("root").agg(F.sum("n").alias("size"), F.count(F.lit(1)).alias("members")).filter("members > 1")
     sizes = materialize(sizes.select(F.col("root").alias("_r"), "size"), "group-sizes")
     parts = F.when(F.col("size") > large, F.greatest(F.lit(2), F.ceil(F.col("size") / max(1, large // 2)))).otherwise(1).cast("int")

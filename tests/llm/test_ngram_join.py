@@ -105,3 +105,36 @@ def test_a_sketch_of_more_counters(spark):
         levels = ngram_join.frequency_levels(docs, bits)
         assert len(levels) == 1 << bits
         assert sorted(levels[levels > 0].tolist()) == [2, 2, 2, 3]
+
+
+def test_near_copies_make_few_pairs(spark, monkeypatch):
+    """Ten near copies of each text: every two of them made a pair of each shingle bucket, however many shingles told the same."""
+    r = random.Random(11)
+    rows = []
+    for i in range(25):
+        base = [f"w{r.randrange(10**9)}" for _ in range(r.randint(60, 120))]
+        for k in range(10):
+            rows.append((100 * i + k, " ".join(base[: len(base) - r.randrange(3)] + [f"t{r.randrange(10**9)}" for _ in range(r.randrange(4))])))
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    made, plain = {}, ngram_join.materialize
+    monkeypatch.setattr(ngram_join, "materialize", lambda df, name: made.setdefault(name, plain(df, name)) if name == "shared" else plain(df, name))
+    monkeypatch.setattr(ngram_join, "discard", lambda stored: None)
+    got = {x.doc_id: (x.n_shingles, x.component_id) for x in ngram_join.similar_documents(docs).collect()}
+    assert got == brute(rows)
+    assert made["shared"].count() < 25 * 45  # pairs of texts; there are 16 buckets
+
+
+@pytest.mark.parametrize("above", [-99, 99])
+def test_kins_of_all_sizes(spark, monkeypatch, above):
+    """Whether kins are coarse or none are made, linked sets meet: here all least shingles are ones of a passage, and sizes of a kin vary by half."""
+    monkeypatch.setattr(ngram_join, "ABOVE", above)
+    monkeypatch.setattr(ngram_join, "SIZES", 1)
+    r = random.Random(5)
+    common = [f"c{i}" for i in range(30)]
+    rows = []
+    for i in range(60):
+        base = common[: r.randint(8, 30)] + [f"w{r.randrange(10**9)}" for _ in range(r.randint(0, 60))]
+        rows += [(10 * i + k, " ".join(base[k:] + [f"t{r.randrange(10**9)}"] * r.randrange(2))) for k in range(r.randint(1, 5))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = {x.doc_id: (x.n_shingles, x.component_id) for x in ngram_join.similar_documents(docs).collect()}
+    assert got == brute(rows)
